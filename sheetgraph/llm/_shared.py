@@ -92,3 +92,15 @@ def hash_text(column: str | F.Column) -> F.Column:
     """128 bits that stand for a text in grouping; null and empty differ."""
     c = F.col(column) if isinstance(column, str) else column
     return F.when(c.isNull(), F.lit("null")).otherwise(F.md5(F.encode(c, "UTF-8")))
+
+
+def runs_of(texts: list[str], most: int = 4_000_000) -> Iterator[list[str]]:
+    """Consecutive parts of a batch's texts, of `most` characters or one text: their word lists fit in memory."""
+    start = size = 0
+    for k, t in enumerate(texts):
+        if size and size + len(t) > most:
+            yield texts[start:k]
+            start, size = k, 0
+        size += len(t)
+    if start < len(texts):
+        yield texts[start:]

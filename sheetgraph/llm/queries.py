@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from sheetgraph.llm import bpe_count, rendezvous, sstable
+from sheetgraph.llm import bpe_count, langid, perplexity, rendezvous, sstable
 from sheetgraph.llm._shared import Scratch, documents
 
 
@@ -26,14 +26,31 @@ def op3_sorted_string_tables(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sstable.read_shards(manifest)
 
 
+def op4_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = documents(spark, sf_dir)
+    held = langid.held_out()
+    model = langid.fit(docs, tokenizer_file("piece_bpe_32k.model"), ~held)
+    return langid.predict(docs.select("doc_id", "text"), model).select("doc_id", held.alias("held_out"), "lang_pred", "score")
+
+
 def op6_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe_count.count_tokens(documents(spark, sf_dir), tokenizer_file("piece_bpe_32k.model"))
 
 
+def op7_ngram_perplexity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = documents(spark, sf_dir).select("doc_id", "lang", "text")
+    scratch = Scratch(spark, "op7")
+    scored = scratch.keep(perplexity.score(docs, perplexity.fit(docs, scratch)).drop("text"))
+    names = ["doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept", "log_ppl"]
+    return perplexity.verdicts(scored).select(*names)
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_rendezvous_shards": op1_rendezvous_shards,
     "op3_sorted_string_tables": op3_sorted_string_tables,
+    "op4_language_id": op4_language_id,
     "op6_token_counts": op6_token_counts,
+    "op7_ngram_perplexity": op7_ngram_perplexity,
 }
 
 ORACLE_SQL: dict[str, str] = {}
