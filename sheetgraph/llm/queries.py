@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from sheetgraph.llm import bpe_count, langid, perplexity, rendezvous, sstable
+from sheetgraph.llm import bpe_count, langid, licenses, mpeg, perplexity, pfair, rendezvous, sstable
 from sheetgraph.llm._shared import Scratch, documents
 
 
@@ -45,12 +45,32 @@ def op7_ngram_perplexity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return perplexity.verdicts(scored).select(*names)
 
 
+def op8_license_sentences(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return licenses.scan(documents(spark, sf_dir))
+
+
+def op9_mpeg_audio(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return mpeg.store_and_measure(documents(spark, sf_dir), Scratch(spark, "op9")).drop("frame_offsets")
+
+
+#: Target weights of the given sources, in quanta.
+MIX = {f"src{i}": 1 + i % 4 for i in range(20)}
+
+
+def op10_pfair_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = documents(spark, sf_dir).select("doc_id", "source")
+    return pfair.schedule(docs, MIX)
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_rendezvous_shards": op1_rendezvous_shards,
     "op3_sorted_string_tables": op3_sorted_string_tables,
     "op4_language_id": op4_language_id,
     "op6_token_counts": op6_token_counts,
     "op7_ngram_perplexity": op7_ngram_perplexity,
+    "op8_license_sentences": op8_license_sentences,
+    "op9_mpeg_audio": op9_mpeg_audio,
+    "op10_pfair_mix": op10_pfair_mix,
 }
 
 ORACLE_SQL: dict[str, str] = {}
