@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from sheetgraph.llm import bpe_count, langid, licenses, mpeg, perplexity, pfair, rendezvous, sstable
+from sheetgraph.llm import bpe_count, langid, licenses, mpeg, order_minhash, perplexity, pfair, rendezvous, sstable
 from sheetgraph.llm._shared import Scratch, documents
 
 
@@ -20,6 +20,10 @@ def op1_rendezvous_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rendezvous.assign(documents(spark, sf_dir), [1.0] * 24)
 
 
+def op2_order_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return order_minhash.classes(documents(spark, sf_dir), Scratch(spark, "op2")).drop("__node")
+
+
 def op3_sorted_string_tables(spark: SparkSession, sf_dir: str) -> DataFrame:
     scratch = Scratch(spark, "op3")
     manifest = sstable.write_shards(documents(spark, sf_dir), tokenizer_file("word_bpe_49k.json"), scratch)
@@ -64,6 +68,7 @@ def op10_pfair_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_rendezvous_shards": op1_rendezvous_shards,
+    "op2_order_minhash": op2_order_minhash,
     "op3_sorted_string_tables": op3_sorted_string_tables,
     "op4_language_id": op4_language_id,
     "op6_token_counts": op6_token_counts,
