@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from sheetgraph.llm import bpe_count, langid, licenses, mpeg, order_minhash, perplexity, pfair, rendezvous, sstable
+from sheetgraph.llm import bpe_count, langid, lattice, licenses, mpeg, order_minhash, perplexity, pfair, rendezvous, sstable
 from sheetgraph.llm._shared import Scratch, documents
 
 
@@ -37,6 +37,12 @@ def op4_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     return langid.predict(docs.select("doc_id", "text"), model).select("doc_id", held.alias("held_out"), "lang_pred", "score")
 
 
+def op5_piece_lattice(spark: SparkSession, sf_dir: str) -> DataFrame:
+    model = tokenizer_file("piece_bpe_32k.model")
+    docs = documents(spark, sf_dir).select("doc_id", "text")
+    return lattice.digest(lattice.encode(docs, model, Scratch(spark, "op5")), model)
+
+
 def op6_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe_count.count_tokens(documents(spark, sf_dir), tokenizer_file("piece_bpe_32k.model"))
 
@@ -71,6 +77,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op2_order_minhash": op2_order_minhash,
     "op3_sorted_string_tables": op3_sorted_string_tables,
     "op4_language_id": op4_language_id,
+    "op5_piece_lattice": op5_piece_lattice,
     "op6_token_counts": op6_token_counts,
     "op7_ngram_perplexity": op7_ngram_perplexity,
     "op8_license_sentences": op8_license_sentences,
