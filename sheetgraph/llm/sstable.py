@@ -17,6 +17,7 @@ equal identifiers keep a row each, ordered by their ids; an empty table gives an
 from __future__ import annotations
 
 import bisect
+import re
 import struct
 import uuid
 import zlib
@@ -27,12 +28,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from sheetgraph.llm._shared import Scratch, file_system, map_arrow, prepare, texts_of
+from sheetgraph.llm._shared import Scratch, file_system, map_arrow, prepare, runs_of, texts_of
 
 HEADER = b"SGSSTAB1"
 FOOTER = struct.Struct("<QQQQQIII8s")
 RESTART = 16
-CACHE_ENTRIES = 400_000
+CACHE_ENTRIES = 600_000
 MAX_SHARDS = 20_000
 
 
@@ -224,19 +225,69 @@ def encode_texts(path: str, texts: list[str], by_word: bool = True) -> list[byte
     kind = "<u2" if width == 2 else "<u4"
     if not by_word:
         return [np.array(e.ids, dtype=kind).tobytes() for e in tok.encode_batch(texts, add_special_tokens=False)]
-    if len(cache) > CACHE_ENTRIES:
-        cache.clear()
-    lists = [t.replace("\n", " ").split(" ") for t in texts]
-    new = set()
-    for u in lists:
-        new.update(u)
-    new = [w for w in new if w not in cache]
-    for k in range(0, len(new), 4096):
-        part = new[k : k + 4096]
+    out: list[bytes] = []
+    for some in runs_of(texts):
+        lists = [parts_of(t) for t in some]
+        if len(cache) > CACHE_ENTRIES:
+            cache.clear()
+        new = set()
+        for u in lists:
+            new.update(u)
+        _remember(tok, kind, cache, [w for w in new if w not in cache])
+        get = cache.__getitem__
+        out += [b"".join(map(get, u)) for u in lists]
+    return out
+
+
+#: Texts of these characters alone fall into parts as PARTS says: lower case and composition change no boundary.
+PLAIN = re.compile(r"[A-Za-z0-9 \n!-/:-@\[-`{-~\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u00ff]*")
+PARTS = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[a-z\u00df-\u00f6\u00f8-\u00ff]+|[0-9]|[^a-z0-9 \n\u00df-\u00f6\u00f8-\u00ff]+")
+
+
+def parts_of(text: str) -> list[str]:
+    """What the tokenizer merges inside: its own parts of a plain text, else all between spaces and line ends."""
+    if PLAIN.fullmatch(text) and "<|" not in text:
+        return PARTS.findall(text.lower())
+    return text.replace("\n", " ").split(" ")
+
+
+def _remember(tok, kind: str, cache: dict[str, bytes], words: list[str]) -> None:
+    """Encode words with the library, those that are one part many in one call, told apart by their last ids.
+
+    Where the number of ends is not the number of words, or a word is no single part, it goes alone.
+    """
+    single, alone = [], []
+    for w in words:
+        one = PARTS.fullmatch(w) and PLAIN.fullmatch(w) and w == w.lower() and "<|" not in w
+        (single if one else alone).append(w)
+    width = np.dtype(kind).itemsize
+    ends = _ends(tok)
+    for k in range(0, len(single), 20_000):
+        part = single[k : k + 20_000]
+        ids = np.array(tok.encode(" ".join(part), add_special_tokens=False).ids, dtype=kind)
+        cuts = ((np.flatnonzero(ends[ids]) + 1) * width).tolist()
+        if len(cuts) != len(part):
+            alone += part
+            continue
+        body = ids.tobytes()
+        cache.update(zip(part, (body[a:b] for a, b in zip([0, *cuts], cuts))))
+    for k in range(0, len(alone), 1024):
+        part = alone[k : k + 1024]
         for w, e in zip(part, tok.encode_batch(part, add_special_tokens=False)):
             cache[w] = np.array(e.ids, dtype=kind).tobytes()
-    get = cache.__getitem__
-    return [b"".join(map(get, u)) for u in lists]
+
+
+def _ends(tok) -> np.ndarray:
+    """Whether each id ends a part of a word, by the vocabulary's suffix."""
+    if id(tok) not in _end_marks:
+        out = np.zeros(tok.get_vocab_size(with_added_tokens=True), dtype=bool)
+        for piece, i in tok.get_vocab(with_added_tokens=True).items():
+            out[i] = piece.endswith("</w>")
+        _end_marks[id(tok)] = out
+    return _end_marks[id(tok)]
+
+
+_end_marks: dict[int, np.ndarray] = {}
 
 
 def ids_crc32(ids: np.ndarray) -> int:
