@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import ctypes
 import os
 import tempfile
 import uuid
@@ -71,6 +72,15 @@ def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/documents.parquet")
 
 
+def give_back() -> None:
+    """Return freed memory to the system: workers stay between tasks, and an executor's limit counts them."""
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except (OSError, AttributeError):  # a system without it
+        pass
+
+
 def map_arrow(df: DataFrame, make: Callable[[], Callable[[pa.RecordBatch], pa.RecordBatch]], schema: str) -> DataFrame:
     """mapInArrow with per-task state: make() is called once in each task, its result for each batch."""
 
@@ -79,6 +89,10 @@ def map_arrow(df: DataFrame, make: Callable[[], Callable[[pa.RecordBatch], pa.Re
         for batch in batches:
             if batch.num_rows:
                 yield step(batch)
+            del batch
+            give_back()
+        del step
+        give_back()
 
     return df.mapInArrow(run, schema)
 
@@ -94,7 +108,7 @@ def hash_text(column: str | F.Column) -> F.Column:
     return F.when(c.isNull(), F.lit("null")).otherwise(F.md5(F.encode(c, "UTF-8")))
 
 
-def runs_of(texts: list[str], most: int = 4_000_000) -> Iterator[list[str]]:
+def runs_of(texts: list[str], most: int = 2_000_000) -> Iterator[list[str]]:
     """Consecutive parts of a batch's texts, of `most` characters or one text: their word lists fit in memory."""
     start = size = 0
     for k, t in enumerate(texts):

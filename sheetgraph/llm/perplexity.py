@@ -35,6 +35,8 @@ BITS = 12
 ALPHABET = 3_900
 START, END = (1 << BITS) - 1, (1 << BITS) - 2
 CACHE_ENTRIES = 300_000
+#: Words whose n-grams are in memory at once.
+PIECE = 40_000
 SYMBOLS = frozenset("#*$%&|<>")
 SPACES = " \t\n\x0b\x0c\r"
 #: Half-width of the band in interquartile ranges beyond the quartiles, and the words at which it doubles.
@@ -81,14 +83,13 @@ def count_ngrams(docs: DataFrame, lang: str, text: str) -> DataFrame:
             for l, t in zip(langs, batch.column(1).to_pylist()):
                 by_lang.setdefault(l, Counter()).update(words_of(t))
             for l, words in by_lang.items():
-                names = [w.decode("utf-8", "surrogatepass") for w in words]
-                if not names:
-                    continue
                 times = np.fromiter(words.values(), np.int64, len(words))
-                keys, owner = symbols_of(names)
-                found, at = np.unique(keys, return_inverse=True)
-                n = np.bincount(at, weights=times[owner]).astype(np.int64)
-                out.append((l, found, n))
+                names = list(words)
+                for k in range(0, len(names), PIECE):
+                    keys, owner = symbols_of([w.decode("utf-8", "surrogatepass") for w in names[k : k + PIECE]])
+                    found, at = np.unique(keys, return_inverse=True)
+                    n = np.bincount(at, weights=times[k : k + PIECE][owner]).astype(np.int64)
+                    out.append((l, found, n))
             return pa.RecordBatch.from_arrays(
                 [
                     pa.array([l for l, k, _ in out for _ in range(len(k))], pa.string()),
@@ -125,10 +126,10 @@ def _level(grams: DataFrame, order: int, lower: DataFrame | None) -> DataFrame:
     own = (F.col("n") - F.col("d")) / F.col("total")
     if lower is None:
         p = own + weight / F.lit(float(1 << BITS))
-        return g.select("lang", "key", F.log2(p).alias("p"), F.log2(weight).alias("w"), "context")
+        return g.select("lang", "key", F.log2(p).cast("float").alias("p"), F.log2(weight).cast("float").alias("w"), "context")
     lower = lower.select("lang", F.col("key").alias("suffix"), F.col("p").alias("q"))
     g = g.join(lower, ["lang", "suffix"])
-    return g.select("lang", "key", F.log2(own + weight * F.exp(F.col("q") * float(np.log(2)))).alias("p"), F.log2(weight).alias("w"), "context")
+    return g.select("lang", "key", F.log2(own + weight * F.exp(F.col("q") * float(np.log(2)))).cast("float").alias("p"), F.log2(weight).cast("float").alias("w"), "context")
 
 
 class Model:
@@ -144,15 +145,14 @@ class Model:
         fs, path = file_system(self.folder)
         names = [f.path for f in fs.get_file_info(_selector(path)) if f.path.endswith(".parquet")]
         out: dict[str, list] = {}
-        table = ds.dataset(names, filesystem=fs, format="parquet").to_table()
-        lang = np.array(table["lang"].to_pylist(), dtype=object)
-        order, key, p, w = (table[c].to_numpy() for c in ("ord", "key", "p", "w"))
-        for name in set(lang):
+        stored = ds.dataset(names, filesystem=fs, format="parquet")
+        for name in self.langs:
             levels = []
             for o in range(1, ORDER + 1):
-                at = np.flatnonzero((lang == name) & (order == o))
-                at = at[np.argsort(key[at])]
-                k = key[at]
+                table = stored.to_table(columns=["key", "p", "w"], filter=(ds.field("lang") == name) & (ds.field("ord") == o))
+                k, p, w = (table[c].to_numpy() for c in ("key", "p", "w"))
+                at = np.argsort(k)
+                k = k[at]
                 c, first = np.unique(k >> BITS, return_index=True)
                 levels.append((k, p[at].astype(np.float32), c, w[at][first].astype(np.float32)))
             out[name] = levels
@@ -256,9 +256,10 @@ def score(docs: DataFrame, model: Model, lang: str = "lang", text: str = "text",
             for l, words in new.items():
                 cache = caches.setdefault(l, {})
                 fresh = [w for w in words if w not in cache]
-                if fresh:
-                    got = log2_probabilities(levels[l], [w.decode("utf-8", "surrogatepass") for w in fresh])
-                    cache.update(zip(fresh, got.tolist()))
+                for k in range(0, len(fresh), PIECE):
+                    part = fresh[k : k + PIECE]
+                    got = log2_probabilities(levels[l], [w.decode("utf-8", "surrogatepass") for w in part])
+                    cache.update(zip(part, got.tolist()))
             out = []
             for l, words in some:
                 bits = sum(map(caches[l].__getitem__, words)) if words else 0.0
