@@ -22,7 +22,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from sheetgraph.llm._shared import map_arrow, prepare, texts_of
+from sheetgraph.llm._shared import map_arrow, prepare, runs_of, texts_of
 
 MARK = "▁"
 CACHE_ENTRIES = 500_000
@@ -191,22 +191,20 @@ def count_tokens(docs: DataFrame, model_path: str, limit: int = 4096, key: str =
 
         def step(batch: pa.RecordBatch) -> pa.RecordBatch:
             texts = texts_of(batch.column(1))
-            # units that had their mark stripped are kept apart by a leading mark in the cache's key
-            lists, plain = [], []
-            for t in texts:
-                u = units(t)
-                plain.append(bool(u) and u[0][:1] != MARK)
-                lists.append(u)
-            if len(cache) > CACHE_ENTRIES:
-                cache.clear()
-            new = set()
-            for u in lists:
-                new.update(u)
-            new = [w for w in new if w not in cache]
-            spelled = [w if w[:1] == MARK else MARK + w for w in new]
-            cache.update(zip(new, merged_counts(table, spelled).tolist()))
-            get = cache.__getitem__
-            n_tokens = [sum(map(get, u)) for u in lists]
+            n_tokens: list[int] = []
+            for some in runs_of(texts):
+                # a unit of single-spaced text goes without its mark, also as the cache's key
+                lists = [units(t) for t in some]
+                if len(cache) > CACHE_ENTRIES:
+                    cache.clear()
+                new = set()
+                for u in lists:
+                    new.update(u)
+                new = [w for w in new if w not in cache]
+                spelled = [w if w[:1] == MARK else MARK + w for w in new]
+                cache.update(zip(new, merged_counts(table, spelled).tolist()))
+                get = cache.__getitem__
+                n_tokens += [sum(map(get, u)) for u in lists]
             n_bytes = [len(t.encode("utf-8", "surrogatepass")) for t in texts]
             return pa.RecordBatch.from_arrays(
                 [batch.column(0).cast(pa.int64()), pa.array(n_bytes, pa.int64()), pa.array(n_tokens, pa.int64()), pa.array([n > limit for n in n_tokens], pa.bool_())],
