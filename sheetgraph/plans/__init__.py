@@ -1 +1 @@
-"""Plans of the engine."""
+"""Workloads: mess patterns, their truth, and the experiments over them."""
