@@ -31,8 +31,8 @@ from sheetgraph.llm._shared import Scratch, file_system, map_arrow, prepare, run
 
 MARK = "▁"
 LONG = 256
-SEEN_ENTRIES = 600_000
-CUT_ENTRIES = 400_000
+SEEN_ENTRIES = 400_000
+CUT_ENTRIES = 150_000
 
 
 class Pieces:
@@ -60,7 +60,9 @@ class Pieces:
         self.pairs = {name[k : k + 2] for name, *_ in self.rows for k in range(len(name) - 1)}
 
     def cut(self, word: str) -> list[str]:
-        """A word in parts that no piece crosses."""
+        """A word in parts that no piece crosses; a word of letters alone stays whole, as they join in most ways."""
+        if word[1:].isalpha():
+            return [word]
         out, start, pairs = [], 0, self.pairs
         for k in range(1, len(word)):
             if word[k - 1 : k + 1] not in pairs:
@@ -143,6 +145,7 @@ def segments_seen(docs: DataFrame, model_path: str, text: str) -> DataFrame:
                 out += parts
                 if len(seen) > SEEN_ENTRIES:  # then some come twice
                     seen.clear()
+                if len(words_seen) > SEEN_ENTRIES:
                     words_seen.clear()
             return pa.RecordBatch.from_arrays([pa.array(np.full(len(out), pid, np.int32)), pa.array(out, pa.string())], names=["pid", "segment"])
 
@@ -163,31 +166,43 @@ def best_paths(segments: DataFrame, model_path: str) -> DataFrame:
     subs = starts.select("segment", "pids", "start", F.explode(lengths).alias("len"))
     subs = subs.select("segment", "pids", "start", "len", F.substring("segment", F.col("start") + 1, F.col("len")).alias("piece"))
     edges = subs.join(F.broadcast(table), "piece", "left").where(F.col("id").isNotNull() | (F.col("len") == 1))  # a fixed vocabulary
-    # a character without a piece stands for its bytes
-    char = F.hex(F.encode("piece", "UTF-8"))
-    byte = F.transform(F.sequence(F.lit(1), F.length(char) - 1, F.lit(2)), lambda k: F.conv(F.substring(char, k, F.lit(2)), 16, 10).cast("int") + F.lit(pieces.byte_id[0]))
-    edge = F.struct(
-        (F.col("start") + F.col("len")).alias("end"),
-        "start",
-        F.coalesce("score", F.lit(pieces.fallback)).alias("score"),
-        F.when(F.col("id").isNotNull(), F.array("id")).otherwise(byte).alias("ids"),
-    )
-    grouped = edges.groupBy("segment").agg(F.sort_array(F.collect_list(edge)).alias("edges"), F.first("pids").alias("pids"))
+    # an edge in one number, in the order of the fold: end, start, piece (0: a character without one)
+    edge = F.shiftleft((F.col("start") + F.col("len")).cast("long"), 48) + F.shiftleft(F.col("start").cast("long"), 32) + F.coalesce("id", F.lit(0)).cast("long")
+    once = F.when((F.col("start") == 0) & (F.col("len") == 1), F.col("pids"))  # not with every edge
+    edges = edges.select("segment", edge.alias("edge"), once.alias("pids"))
+    grouped = edges.groupBy("segment").agg(F.sort_array(F.collect_list("edge")).alias("edges"), F.first("pids", ignorenulls=True).alias("pids"))
+    by_id = [pieces.fallback] * (max(i for _, i, _ in pieces.rows) + 1)
+    for _, i, score in pieces.rows:
+        by_id[i] = score
+    scores = F.split(F.lit(",".join(map(repr, by_id))), ",").cast("array<double>")  # folded to one literal
     cell = "struct<s:double,p:array<int>>"
     first = F.array(F.struct(F.lit(0.0).alias("s"), F.array().cast("array<int>").alias("p"))).cast(f"array<{cell}>")
 
+    def ids_of(start: F.Column, piece: F.Column) -> F.Column:
+        """The piece, or the bytes of a character without one, as ids."""
+        char = F.hex(F.encode(F.substring("segment", start + 1, F.lit(1)), "UTF-8"))
+        byte = F.transform(F.sequence(F.lit(1), F.length(char) - 1, F.lit(2)), lambda k: F.conv(F.substring(char, k, F.lit(2)), 16, 10).cast("int") + F.lit(pieces.byte_id[0]))
+        return F.when(piece > 0, F.array(piece)).otherwise(byte)
+
     def fold(acc: F.Column, e: F.Column) -> F.Column:
-        before = F.get(acc, e["start"])
-        total = before["s"] + e["score"]
-        new = F.array(F.struct(total.alias("s"), F.concat(before["p"], e["ids"]).alias("p")))
-        fresh = F.size(acc) <= e["end"]
-        return F.when(fresh, F.concat(acc, new)).when(total > F.get(acc, e["end"])["s"], F.concat(F.slice(acc, F.lit(1), e["end"]), new)).otherwise(acc)
+        end = F.shiftright(e, 48).cast("int")
+        start = F.shiftright(e, 32).bitwiseAND(F.lit(0xFFFF)).cast("int")
+        piece = e.bitwiseAND(F.lit(0xFFFFFFFF)).cast("int")
+        before = F.get(acc, start)
+        total = before["s"] + F.get(scores, piece)
+        new = F.array(F.struct(total.alias("s"), F.concat(before["p"], ids_of(start, piece)).alias("p")))
+        fresh = F.size(acc) <= end
+        return F.when(fresh, F.concat(acc, new)).when(total > F.get(acc, end)["s"], F.concat(F.slice(acc, F.lit(1), end), new)).otherwise(acc)
 
     return grouped.select("segment", "pids", F.aggregate("edges", first, fold, lambda acc: F.element_at(acc, -1)["p"]).alias("ids"))
 
 
-def encode(docs: DataFrame, model_path: str, scratch: Scratch, text: str = "text", ids_col: str = "ids") -> DataFrame:
-    """All columns of docs with ids, the best path of every whole text."""
+def encode(docs: DataFrame, model_path: str, scratch: Scratch, text: str = "text", ids_col: str = "ids", finish=None) -> DataFrame:
+    """All columns of docs with ids, the best path of every whole text.
+
+    finish: (schema, function of pieces, texts and a list of id arrays) for what is to stand in place of ids,
+    computed where they are.
+    """
     prepare(docs.sparkSession)
     docs = docs.drop(ids_col)
     seen = segments_seen(docs, model_path, text)
@@ -197,6 +212,8 @@ def encode(docs: DataFrame, model_path: str, scratch: Scratch, text: str = "text
     paths.repartition("pid").write.partitionBy("pid").parquet(folder)
     columns = docs.columns
     at = columns.index(text)
+    schema, last = finish or (f"`{ids_col}` array<int>", _as_ids)
+    added = T._parse_datatype_string(schema)
 
     def make():
         from pyspark import TaskContext
@@ -215,8 +232,8 @@ def encode(docs: DataFrame, model_path: str, scratch: Scratch, text: str = "text
             return b"".join(out)
 
         def step(batch: pa.RecordBatch) -> pa.RecordBatch:
-            flat: list[bytes] = []
-            for some in runs_of(texts_of(batch.column(at))):
+            made = []
+            for some in runs_of(texts_of(batch.column(at)), 1_000_000):
                 lists = [words_of(t) for t in some]
                 if len(words) > CUT_ENTRIES:
                     words.clear()
@@ -227,16 +244,29 @@ def encode(docs: DataFrame, model_path: str, scratch: Scratch, text: str = "text
                     if w not in words:
                         words[w] = spell(w)
                 get = words.__getitem__
-                flat += [b"".join(map(get, u)) for u in lists]
-            offsets = np.zeros(len(flat) + 1, np.int32)
-            offsets[1:] = np.cumsum([len(x) >> 2 for x in flat])
-            values = pa.Array.from_buffers(pa.int32(), int(offsets[-1]), [None, pa.py_buffer(b"".join(flat))])
-            ids = pa.ListArray.from_arrays(pa.array(offsets), values)
-            return pa.RecordBatch.from_arrays([*batch.columns, ids], names=[*columns, ids_col])
+                made.append(last(pieces, some, [np.frombuffer(b"".join(map(get, u)), np.int32) for u in lists]))
+            cols = [pa.concat_arrays(c) for c in zip(*made)]
+            return pa.RecordBatch.from_arrays([*batch.columns, *cols], names=[*columns, *added.names])
 
         return step
 
-    return map_arrow(docs, make, T.StructType([*docs.schema.fields, T.StructField(ids_col, T.ArrayType(T.IntegerType()))]))
+    return map_arrow(docs, make, T.StructType([*docs.schema.fields, *added.fields]))
+
+
+def _as_ids(pieces: Pieces, texts: list[str], ids: list[np.ndarray]) -> list[pa.Array]:
+    offsets = np.zeros(len(ids) + 1, np.int32)
+    offsets[1:] = np.cumsum([len(x) for x in ids])
+    return [pa.ListArray.from_arrays(pa.array(offsets), pa.array(np.concatenate(ids), pa.int32()))]
+
+
+def _as_digest(pieces: Pieces, texts: list[str], ids: list[np.ndarray]) -> list[pa.Array]:
+    same = [decode_ids(pieces, x) == t.replace(MARK, " ") for t, x in zip(texts, ids)]
+    crc = [zlib.crc32(x.astype("<u4").tobytes()) for x in ids]
+    return [pa.array([len(x) for x in ids], pa.int64()), pa.array(crc, pa.int64()), pa.array(same, pa.bool_())]
+
+
+#: n_tokens, ids_crc32 (of little-endian 32 bits), and whether the ids decode to the text.
+DIGEST = ("n_tokens long, ids_crc32 long, round_trip boolean", _as_digest)
 
 
 def _dictionary(folder: str, pid: int) -> dict[str, bytes]:
@@ -287,26 +317,3 @@ def _lists(column: pa.Array):
     offsets = column.offsets.to_numpy() - column.offsets[0].as_py()
     for k in range(len(column)):
         yield values[offsets[k] : offsets[k + 1]] if column[k].is_valid else None
-
-
-def digest(encoded: DataFrame, model_path: str, key: str = "doc_id", text: str = "text", ids_col: str = "ids") -> DataFrame:
-    """doc_id, n_tokens, ids_crc32 (little-endian 32 bits), and whether the ids decode to the text."""
-    prepare(encoded.sparkSession)
-
-    def make():
-        pieces, _ = pieces_of(model_path)
-
-        def step(batch: pa.RecordBatch) -> pa.RecordBatch:
-            n, crc, same = [], [], []
-            for t, ids in zip(batch.column(1), _lists(batch.column(2))):
-                body = b"".join(map(pieces.text.__getitem__, ids.tolist()))
-                raw = t.as_buffer().to_pybytes() if t.is_valid else b""
-                n.append(len(ids))
-                crc.append(zlib.crc32(ids.astype("<u4").tobytes()))
-                same.append(body == (b" " + raw if raw else b"") or (MARK.encode() in raw and body == b" " + raw.replace(MARK.encode(), b" ")))
-            return pa.RecordBatch.from_arrays([batch.column(0), pa.array(n, pa.int64()), pa.array(crc, pa.int64()), pa.array(same, pa.bool_())], names=["doc_id", "n_tokens", "ids_crc32", "round_trip"])
-
-        return step
-
-    src = encoded.select(F.col(key).cast("long").alias("doc_id"), F.col(text).alias("text"), F.col(ids_col).alias("ids"))
-    return map_arrow(src, make, "doc_id long, n_tokens long, ids_crc32 long, round_trip boolean")
