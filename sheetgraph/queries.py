@@ -222,7 +222,7 @@ SQL_BOTH = {
     "agg_cube": "SELECT l_returnflag, l_linestatus, count(*) AS n FROM lineitem GROUP BY CUBE (l_returnflag, l_linestatus)",
     "agg_distinct": "SELECT l_returnflag, count(DISTINCT l_partkey) AS parts, count(DISTINCT l_suppkey) AS suppliers FROM lineitem GROUP BY l_returnflag",
     "agg_stats": "SELECT l_linestatus, round(stddev_pop(l_quantity), 6) AS sd, round(avg(l_discount), 6) AS mean FROM lineitem GROUP BY l_linestatus",
-    "window_rank": "SELECT o_custkey, o_orderkey, row_number() OVER (PARTITION BY o_custkey ORDER BY o_totalprice DESC, o_orderkey) AS rn FROM orders",
+    "window_rank": "SELECT o_custkey, o_orderkey, CAST(row_number() OVER (PARTITION BY o_custkey ORDER BY o_totalprice DESC, o_orderkey) AS BIGINT) AS rn FROM orders",
     "window_running": "SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY event_id ROWS BETWEEN 2 PRECEDING AND CURRENT ROW) AS n FROM events",
     "set_intersect": "SELECT c_nationkey AS k FROM customer INTERSECT SELECT s_nationkey FROM supplier",
     "set_except": "SELECT n_nationkey AS k FROM nation EXCEPT SELECT s_nationkey FROM supplier",
@@ -245,11 +245,11 @@ for _n, _s in SQL_BOTH.items():
     query(_n, _s)(lambda spark, d, s=_s: _sql(spark, d, s))
 
 
-@query("join_asof_purchase", "SELECT event_id, last_value(CASE WHEN event_type = 'click' THEN event_id END IGNORE NULLS) OVER (PARTITION BY user_id ORDER BY event_id) AS click FROM events")
+@query("join_asof_purchase", "SELECT event_id, coalesce(last_value(CASE WHEN event_type = 'click' THEN event_id END IGNORE NULLS) OVER (PARTITION BY user_id ORDER BY event_id), -1) AS click FROM events")
 def join_asof_purchase(spark, d):
     w = Window.partitionBy("user_id").orderBy("event_id").rowsBetween(Window.unboundedPreceding, 0)
     click = F.last(F.when(F.col("event_type") == "click", F.col("event_id")), ignorenulls=True).over(w)
-    return table(spark, d, "events").select("event_id", click.alias("click"))
+    return table(spark, d, "events").select("event_id", F.coalesce(click, F.lit(-1).cast("long")).alias("click"))
 
 
 @query("join_skew_salted", "SELECT l_returnflag, CAST(sum(o_custkey) AS BIGINT) AS s FROM lineitem JOIN orders ON l_orderkey = o_orderkey GROUP BY l_returnflag")
