@@ -102,7 +102,7 @@ def schedule(docs: DataFrame, quanta: dict[str, int], rest_quanta: int = 1, bloc
     )
 
 
-def in_order(scheduled: DataFrame, rows_per_part: int = 200_000, prefix: str = "") -> DataFrame:
+def in_order(scheduled: DataFrame, rows_per_part: int = 10_000, prefix: str = "") -> DataFrame:
     """Rows in the order of their positions, partition by partition."""
     position = F.col(prefix + "position")
     last = scheduled.agg(F.max(position)).first()[0]
