@@ -9,8 +9,9 @@ A pair whose shingles have Jaccard similarity j becomes a candidate with chance
 at 0.8, 0.99 at 0.5.
 
 Classes are the connected components of the links. Equal word sequences are one node. Instead of all pairs
-in a bucket, every node is first aligned with one representative; components form; then only nodes of one
-bucket that are still in different components are aligned, so no candidate link between components is lost.
+in a bucket, every node is first aligned with one representative; components form; components that share a
+bucket meet by one node each, a few times; last, all nodes of one bucket that are still in different
+components are aligned, but for those that bounds on the distance rule out, so no candidate link is lost.
 
 Defined results: texts without a word are classes of their own; the class id is the smallest doc_id of the
 class; rows with one doc_id and one text are the same node; a null doc_id may belong to a class and gives
@@ -32,7 +33,13 @@ from sheetgraph.llm._shared import Scratch, map_arrow, prepare, runs_of, texts_o
 
 SHINGLE, SKETCHES, TUPLE, SIMILARITY = 5, 32, 3, 0.8
 WORD = re.compile(r"\w+")
-WORD_CACHE = 300_000
+WORD_CACHE = 150_000
+#: Rounds in which components meet by one node each, before all their nodes do.
+STAR_ROUNDS = 2
+#: Bins of a word histogram, and rows of a bucket in one block of comparisons.
+BINS, BLOCK = 256, 128
+#: Words up to which many texts are aligned in step.
+LONG_WORDS = 2_000
 #: Shingles hashed by all functions at once; longer texts go function by function.
 MATRIX = 40_000
 
@@ -145,7 +152,10 @@ def similarity(a: list, b: list, least: float = SIMILARITY) -> float | None:
 
 
 def _keyed(docs: DataFrame, text: str, sketched: bool) -> DataFrame:
-    """docs with __node, 16 bytes that stand for the word sequence (null without words), and __sketches."""
+    """docs with __node, 64 bits that stand for the word sequence (null without words), and __sketches.
+
+    Among n different texts two share a node with chance n^2 / 2^65: one in 30 at a thousand million texts.
+    """
     columns = docs.columns
     at = columns.index(text)
 
@@ -165,18 +175,19 @@ def _keyed(docs: DataFrame, text: str, sketched: bool) -> DataFrame:
                         nodes.append(None)
                         sketches.append(None)
                         continue
-                    nodes.append(xxhash.xxh3_128_digest("\x1f".join(words).encode("utf-8", "surrogatepass")))
+                    h = xxhash.xxh3_64_intdigest("\x1f".join(words).encode("utf-8", "surrogatepass"))
+                    nodes.append(h - (1 << 63))
                     if sketched:
                         ids = np.fromiter(map(hashes.__getitem__, words), np.uint64, len(words))
                         sketches.append(order_sketches(shingles(ids)).view(np.int64))
-            cols = [*batch.columns, pa.array(nodes, pa.binary())]
+            cols = [*batch.columns, pa.array(nodes, pa.int64())]
             if sketched:
                 cols.append(pa.array(sketches, pa.list_(pa.int64())))
             return pa.RecordBatch.from_arrays(cols, names=[*columns, "__node", "__sketches"][: len(cols)])
 
         return step
 
-    added = [T.StructField("__node", T.BinaryType())] + [T.StructField("__sketches", T.ArrayType(T.LongType()))] * sketched
+    added = [T.StructField("__node", T.LongType())] + [T.StructField("__sketches", T.ArrayType(T.LongType()))] * sketched
     return map_arrow(docs, make, T.StructType([*docs.schema.fields, *added]))
 
 
@@ -192,7 +203,116 @@ def _aligned(pairs: DataFrame, texts: DataFrame) -> DataFrame:
 
         return step
 
-    return map_arrow(both, make, "a binary, b binary")
+    return map_arrow(both, make, "a long, b long")
+
+
+def band_distances(xs: list[np.ndarray], ys: list[np.ndarray], band: int) -> np.ndarray:
+    """Edit distances of pairs of texts, all along one band in step; what exceeds the band comes out greater."""
+    n, m = (np.array([len(v) for v in side], np.int64) for side in (xs, ys))
+    width, longest = 2 * band + 1, int(n.max(initial=0))
+    names = np.unique(np.concatenate([*xs, *ys]))
+    x = np.zeros((len(xs), longest), np.int32)  # 0 and -1, outside the texts, match nothing
+    y = np.full((len(xs), longest + width), -1, np.int32)
+    inside = np.abs(n - m) <= band
+    for k in np.flatnonzero(inside):
+        x[k, : n[k]] = np.searchsorted(names, xs[k]) + 1
+        y[k, band : band + m[k]] = np.searchsorted(names, ys[k]) + 1
+    far = np.int16(1 << 13)  # above any distance of texts up to LONG_WORDS
+    steps = np.arange(width, dtype=np.int16)
+    row = np.tile(np.where(steps >= band, steps - band, far).astype(np.int16), (len(xs), 1))
+    out = np.where(inside & (n == 0), m, band + 1)
+    for i in range(1, longest + 1):
+        new = row + (y[:, i - 1 : i - 1 + width] != x[:, i - 1 : i])
+        np.minimum(new[:, :-1], row[:, 1:] + 1, out=new[:, :-1])
+        if i <= band:  # the empty prefix of the other text
+            new[:, : band - i] = far
+            new[:, band - i] = i
+        row = np.minimum.accumulate(new - steps, axis=1) + steps
+        ends = np.flatnonzero(inside & (n == i))
+        out[ends] = row[ends, m[ends] - i + band]
+    return out
+
+
+def linked(xs: list[np.ndarray], ys: list[np.ndarray]) -> np.ndarray:
+    """Whether each pair has enough edit similarity."""
+    out = np.zeros(len(xs), bool)
+    longer = np.array([max(len(a), len(b)) for a, b in zip(xs, ys)], np.int64)
+    most = ((1 - SIMILARITY) * longer + 1e-9).astype(np.int64)
+    order = np.argsort(longer, kind="stable")
+    start = 0
+    while start < len(order):
+        size = max(1, min(1_024, 4_000_000 // max(1, int(longer[order[start]]) + 1)))
+        part = order[start : start + size]
+        start += size
+        if longer[part].max() > LONG_WORDS:
+            for k in part:
+                out[k] = similarity(xs[k].tolist(), ys[k].tolist()) is not None
+        else:
+            out[part] = band_distances([xs[k] for k in part], [ys[k] for k in part], int(most[part].max())) <= most[part]
+    return out
+
+
+def _late_links(open_: DataFrame, texts: DataFrame, nodes: DataFrame, scratch: Scratch) -> DataFrame:
+    """Links (a, b) between the components that share a bucket: one for each two, if there is any.
+
+    open_: h, node, label, main. Nodes outside a bucket's main component meet all others, in blocks. Half
+    the difference of two word histograms is at most the edit distance, so those that exceed it are passed
+    over, and the rest is aligned in the block: rows come out for links alone, not for pairs. Two nodes that
+    share several buckets meet in that of their first equal sketch.
+    """
+
+    def make():
+        hashes = _WordHashes()
+
+        def step(batch: pa.RecordBatch) -> pa.RecordBatch:
+            ids = []
+            for t in batch.column(1).to_pylist():
+                words = words_of(t)
+                ids.append(np.fromiter(map(hashes.__getitem__, words), np.uint64, len(words)).tobytes())
+                if len(hashes) > WORD_CACHE:
+                    hashes.clear()
+            return pa.RecordBatch.from_arrays([batch.column(0), pa.array(ids, pa.binary())], names=["node", "ids"])
+
+        return step
+
+    open_ = scratch.keep(open_)
+    some = texts.join(open_.select(F.col("node").alias("__node")).distinct(), "__node", "left_semi")
+    signed = scratch.keep(open_.join(map_arrow(some.select("__node", "__text"), make, "node long, ids binary"), "node").join(nodes.select(F.col("__node").alias("node"), F.col("__sketches").alias("sketches")), "node"))
+    sizes = signed.groupBy("h").agg(F.ceil(F.count(F.lit(1)) / BLOCK).alias("blocks"), F.ceil(F.count_if(F.col("label") != F.col("main")) / BLOCK).alias("minor_blocks"))
+    rows = signed.join(sizes, "h").withColumn("own", F.pmod(F.xxhash64("node"), "blocks")).withColumn("minor", F.pmod(F.xxhash64("node"), "minor_blocks"))
+    columns = ["h", "node", "label", "main", "ids", "sketches"]
+    x = rows.where("label != main").select(*columns, F.lit(True).alias("asks"), F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)).alias("i"), F.col("minor").alias("j"))
+    y = rows.select(*columns, F.lit(False).alias("asks"), F.col("own").alias("i"), F.explode(F.sequence(F.lit(0).cast("long"), F.col("minor_blocks") - 1)).alias("j"))
+
+    def block(table: pa.Table) -> pa.Table:
+        asks = table["asks"].to_numpy()
+        node, label = table["node"].to_numpy(), table["label"].to_numpy()
+        ids = [np.frombuffer(b, np.uint64) for b in table["ids"].to_pylist()]
+        n = np.array([len(v) for v in ids])
+        bins = np.stack([np.bincount((v % np.uint64(BINS)).astype(np.int64), minlength=BINS).astype(np.int32) for v in ids])
+        sketches = np.array(table["sketches"].to_pylist(), np.int64).reshape(len(n), SKETCHES)
+        h, minor = table["h"][0].as_py(), label != table["main"].to_numpy()
+        others = np.flatnonzero(~asks)
+        left, right = [], []
+        for k in np.flatnonzero(asks):
+            may = others[(label[others] != label[k]) & ~(minor[others] & (node[others] > node[k]))]
+            may = may[sketches[k][(sketches[may] == sketches[k]).argmax(axis=1)] == h]
+            most = ((1 - SIMILARITY) * np.maximum(n[may], n[k]) + 1e-9).astype(np.int64)
+            may, most = (v[np.abs(n[may] - n[k]) <= most] for v in (may, most))
+            may = may[np.abs(bins[may] - bins[k]).sum(axis=1) <= 2 * most]
+            left.append(np.full(len(may), k))
+            right.append(may)
+        left, right = np.concatenate(left) if left else others[:0], np.concatenate(right) if right else others[:0]
+        hits = linked([ids[k] for k in left], [ids[k] for k in right])
+        found = {(left[k], label[right[k]]): (int(node[left[k]]), int(node[right[k]])) for k in np.flatnonzero(hits)}
+        out = list(found.values())
+        a, b = zip(*out) if out else ((), ())
+        return pa.table({"a": pa.array(a, pa.int64()), "b": pa.array(b, pa.int64())})
+
+    # a stated number of partitions: the blocks are small in bytes but not in work
+    parts = int(open_.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    blocks = x.unionByName(y).repartition(parts, "h", "i", "j")
+    return scratch.keep(blocks.groupBy("h", "i", "j").applyInArrow(block, "a long, b long").distinct())
 
 
 def components(edges: DataFrame, scratch: Scratch) -> DataFrame:
@@ -213,41 +333,56 @@ def components(edges: DataFrame, scratch: Scratch) -> DataFrame:
             return labels.select("node", "label")
 
 
+def _merged(labels: DataFrame, edges: DataFrame, scratch: Scratch) -> DataFrame:
+    """labels with the components that the edges join made one; works on the joined components alone."""
+    at = {c: labels.select(F.col("node").alias(c), F.col("label").alias(f"l{c}")) for c in "ab"}
+    between = edges.join(at["a"], "a").join(at["b"], "b").where("la != lb").select(F.col("la").alias("a"), F.col("lb").alias("b")).distinct()
+    joined = components(scratch.keep(between), scratch).select(F.col("node").alias("label"), F.col("label").alias("root"))
+    return scratch.keep(labels.join(joined, "label", "left").select("node", F.coalesce("root", "label").alias("label")))
+
+
 def links(docs: DataFrame, scratch: Scratch, key: str = "doc_id", text: str = "text") -> tuple[DataFrame, DataFrame]:
     """(rows: doc_id and __node of every document; labels: node and label of every node that has a link)."""
     prepare(docs.sparkSession)
     docs = docs.select(F.col(key).alias("doc_id"), F.col(text).alias("__text"))
     rows = scratch.keep(_keyed(docs, "__text", True).drop("__text"))
     nodes = rows.where(F.col("__node").isNotNull()).groupBy("__node").agg(F.first("__sketches").alias("__sketches"))
-    bands = nodes.select(F.col("__node").alias("node"), F.posexplode("__sketches").alias("band", "h"))
-    full = bands.groupBy("band", "h").agg(F.count(F.lit(1)).alias("n"), F.min("node").alias("rep")).where("n > 1").drop("n")
-    members = scratch.keep(bands.join(full, ["band", "h"]))
+    bands = nodes.select(F.col("__node").alias("node"), F.explode("__sketches").alias("h"))
+    full = bands.groupBy("h").agg(F.count(F.lit(1)).alias("n"), F.min("node").alias("rep")).where("n > 1").drop("n")
+    members = scratch.keep(bands.join(full, "h"))
     texts = _keyed(docs, "__text", False).drop("doc_id").join(members.select(F.col("node").alias("__node")).distinct(), "__node")
     texts = scratch.keep(texts.groupBy("__node").agg(F.first("__text").alias("__text")))
-    first = scratch.keep(members.groupBy("node").agg(F.min("rep").alias("b")).where("b < node").select(F.col("node").alias("a"), "b"))
-    edges = scratch.keep(_aligned(first, texts))
-    labels = components(edges, scratch)
-    # nodes that share a bucket but no component yet: those outside the bucket's largest component, with all others
-    placed = members.join(labels, "node", "left").select("band", "h", "node", F.coalesce("label", "node").alias("label"))
-    placed = scratch.keep(placed)
-    sizes = placed.groupBy("band", "h", "label").agg(F.count(F.lit(1)).alias("n"))
-    main = sizes.groupBy("band", "h").agg(F.count(F.lit(1)).alias("kinds"), F.max(F.struct("n", "label")).alias("top")).where("kinds > 1")
-    open_ = scratch.keep(placed.join(main.select("band", "h", F.col("top.label").alias("main")), ["band", "h"]))
-    x = open_.where("label != main").select("band", "h", F.col("node").alias("a"), F.col("label").alias("la"))
-    y = open_.select("band", "h", F.col("node").alias("b"), F.col("label").alias("lb"))
-    pairs = x.join(y, ["band", "h"]).where("la != lb").select(F.least("a", "b").alias("b"), F.greatest("a", "b").alias("a")).distinct()
-    pairs = pairs.select("a", "b").join(first, ["a", "b"], "left_anti")
-    more = scratch.keep(_aligned(scratch.keep(pairs), texts))
-    out = components(edges.union(more), scratch)
-    scratch.drop(members, texts, placed, open_)
-    return rows.select("doc_id", "__node"), out
+    labels = scratch.keep(members.select("node", F.col("node").alias("label")).distinct())
+    first = members.groupBy("node").agg(F.min("rep").alias("b")).where("b < node").select(F.col("node").alias("a"), "b")
+    tried = scratch.keep(first)
+    labels = _merged(labels, _aligned(tried, texts), scratch)
+    for k in range(STAR_ROUNDS + 1):
+        # buckets whose nodes are in several components yet: all others meet the largest one
+        placed = scratch.keep(members.select("h", "node").join(labels, "node"))
+        sizes = placed.groupBy("h", "label").agg(F.count(F.lit(1)).alias("n"), F.min("node").alias("head"))
+        main = sizes.groupBy("h").agg(F.count(F.lit(1)).alias("kinds"), F.max(F.struct("n", "label", "head")).alias("top")).where("kinds > 1")
+        main = main.select("h", F.col("top.label").alias("main"), F.col("top.head").alias("main_head"))
+        if k < STAR_ROUNDS:  # by one node of each, and one pair of nodes for two components
+            heads = sizes.join(main, "h").where("label != main").select("label", "main", F.least("head", "main_head").alias("b"), F.greatest("head", "main_head").alias("a"))
+            pairs = heads.select("a", "b", "label", "main").join(tried, ["a", "b"], "left_anti")
+            pairs = pairs.groupBy("label", "main").agg(F.min(F.struct("a", "b")).alias("x")).select("x.a", "x.b").distinct()
+        else:  # by all nodes, so that no link between components is lost
+            labels = _merged(labels, _late_links(placed.join(main.select("h", "main"), "h"), texts, nodes, scratch), scratch)
+            break
+        pairs = scratch.keep(pairs)
+        if not pairs.limit(1).count():
+            continue
+        labels = _merged(labels, _aligned(pairs, texts), scratch)
+        tried = scratch.keep(tried.union(pairs))
+    scratch.drop(members, texts)
+    return rows.select("doc_id", "__node"), labels.where("node != label").union(labels.where("node != label").select("label", "label").distinct())
 
 
 def classes(docs: DataFrame, scratch: Scratch, key: str = "doc_id", text: str = "text") -> DataFrame:
     """doc_id, class_id (smallest doc_id of the class), class_size for every document."""
     rows, labels = links(docs, scratch, key, text)
-    rows = rows.withColumn("own", F.when(F.col("__node").isNull(), F.concat(F.lit("-"), F.coalesce(F.col("doc_id").cast("string"), F.lit("")))).otherwise(F.hex("__node")))
-    labels = labels.select(F.col("node").alias("__node"), F.hex("label").alias("label"))
+    rows = rows.withColumn("own", F.when(F.col("__node").isNull(), F.concat(F.lit("id "), F.coalesce(F.col("doc_id").cast("string"), F.lit("")))).otherwise(F.col("__node").cast("string")))
+    labels = labels.select(F.col("node").alias("__node"), F.col("label").cast("string").alias("label"))
     rows = scratch.keep(rows.join(labels, "__node", "left").select("doc_id", "__node", F.coalesce("label", "own").alias("label")))
     sizes = rows.groupBy("label").agg(F.min("doc_id").alias("class_id"), F.count(F.lit(1)).alias("class_size"))
     return rows.join(sizes, "label").select("doc_id", "class_id", "class_size", "__node")
