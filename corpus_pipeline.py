@@ -39,7 +39,7 @@ def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def encode_pieces(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    encoded = lattice.encode(docs, tokenizer_file("piece_bpe_32k.model"), Scratch(spark, "encode"), ids_col="ids")
+    encoded = lattice.encode(docs, tokenizer_file("piece_bpe_32k.model"), Scratch(spark, "encode"), ids_col="ids", merged=True)
     return encoded.select("doc_id", "lang", "source", F.size("ids").alias("n_tokens"), "ids")
 
 

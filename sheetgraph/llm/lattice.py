@@ -7,11 +7,17 @@ exploded, an equi-join to the piece table leaves the edges, a character without
 bytes, edges are grouped by segment, and a fold with a higher-order aggregate finds the best path (the
 greatest sum of the pieces' scores; of equals, the one whose last piece is longest, and so on backwards).
 
+Scores of a BPE file are ranks of merges and not log probabilities, so the best sum is not that model's
+encoding. With merged=True, as the queries use it, the fold follows the merges over the same edges: of those
+that join two symbols which stand side by side, the one of the highest score, of equals the leftmost, until
+none is left; the ids are the library's. The ends of symbols are the bits of one number, so a segment in the
+lattice has up to MERGED_LONG characters.
+
 Segments go to the lattice once for the whole corpus, and come back to the task that holds the texts: the
 first pass notes which partition has seen a segment, and the dictionary is stored by partition in the
 shared folder. A task so loads what its own texts need, whatever the corpus holds; there is no broadcast
-but the fixed piece table. Segments over LONG characters, and any that a changed partitioning left out,
-are folded by the same rule in the worker, in linear time.
+but the fixed piece table. Segments over LONG or MERGED_LONG characters, and any that a changed partitioning left out,
+are folded by the same rule in the worker, in linear time (with a heap where merged).
 
 Defined results: null or empty text has no ids and decodes to the empty text; equal texts get equal ids; an
 empty table gives an empty table; columns named like the results are replaced.
@@ -19,6 +25,7 @@ empty table gives an empty table; columns named like the results are replaced.
 
 from __future__ import annotations
 
+import heapq
 import zlib
 
 import numpy as np
@@ -31,6 +38,7 @@ from sheetgraph.llm._shared import Scratch, file_system, map_arrow, prepare, run
 
 MARK = "▁"
 LONG = 256
+MERGED_LONG = 60
 SEEN_ENTRIES = 400_000
 CUT_ENTRIES = 150_000
 
@@ -55,6 +63,9 @@ class Pieces:
                 self.text.append(name.replace(MARK, " ").encode())
         self.score = {name: (score, i) for name, i, score in self.rows}
         self.longest = max(len(name) for name, *_ in self.rows)
+        # equal scores share a rank, so that only the place decides between them
+        ranks = {x: k for k, x in enumerate(sorted({-score for *_, score in self.rows}))}
+        self.rank = {name: ranks[-score] for name, _, score in self.rows}
         # a character without a piece costs more than any path of pieces could
         self.fallback = 2.0 * min(score for *_, score in self.rows)
         self.pairs = {name[k : k + 2] for name, *_ in self.rows for k in range(len(name) - 1)}
@@ -90,6 +101,27 @@ class Pieces:
             at = back[at][0]
         return ids
 
+    def merged(self, segment: str) -> list[int]:
+        """The model's merges of one segment in this process, by a heap of the pairs that may merge."""
+        n, rank = len(segment), self.rank
+        after, before = list(range(1, n + 1)), list(range(-1, n))  # end of the symbol from here, start of the one up to here
+        heap = [(rank[segment[k : k + 2]], k, k + 1, k + 2) for k in range(n - 1) if segment[k : k + 2] in rank]
+        heapq.heapify(heap)
+        while heap:
+            _, start, mid, end = heapq.heappop(heap)
+            if after[start] != mid or after[mid] != end:
+                continue
+            after[start], after[mid], before[end] = end, -1, start
+            for a, b, c in ((before[start], start, end), (start, end, after[end] if end < n else -1)):
+                if a >= 0 and c > 0 and c - a <= self.longest and segment[a:c] in rank:
+                    heapq.heappush(heap, (rank[segment[a:c]], a, b, c))
+        at, ids = 0, []
+        while at < n:
+            hit = self.score.get(segment[at : after[at]])
+            ids += [hit[1]] if hit else [self.byte_id[b] for b in segment[at].encode("utf-8", "surrogatepass")]
+            at = after[at]
+        return ids
+
 
 _pieces: dict[str, tuple[Pieces, dict[str, list[str]]]] = {}
 
@@ -121,8 +153,8 @@ def _spelled(word: str) -> str:
     return word if word[:1] == MARK else MARK + word
 
 
-def segments_seen(docs: DataFrame, model_path: str, text: str) -> DataFrame:
-    """pid, segment for the distinct segments in each partition of docs, those of up to LONG characters."""
+def segments_seen(docs: DataFrame, model_path: str, text: str, longest: int = LONG) -> DataFrame:
+    """pid, segment for the distinct segments in each partition of docs, those of up to longest characters."""
 
     def make():
         from pyspark import TaskContext
@@ -140,7 +172,7 @@ def segments_seen(docs: DataFrame, model_path: str, text: str) -> DataFrame:
                     new.update(words_of(t))
                 new -= words_seen
                 words_seen.update(new)
-                parts = {s for w in new for s in pieces.cut(_spelled(w)) if len(s) <= LONG} - seen
+                parts = {s for w in new for s in pieces.cut(_spelled(w)) if len(s) <= longest} - seen
                 seen.update(parts)
                 out += parts
                 if len(seen) > SEEN_ENTRIES:  # then some come twice
@@ -154,11 +186,9 @@ def segments_seen(docs: DataFrame, model_path: str, text: str) -> DataFrame:
     return map_arrow(docs.select(F.col(text).alias("text")), make, "pid int, segment string")
 
 
-def best_paths(segments: DataFrame, model_path: str) -> DataFrame:
-    """segments (segment, pids) with ids, the best path through each one's lattice."""
-    pieces, _ = pieces_of(model_path)
-    spark = segments.sparkSession
-    table = spark.createDataFrame(pieces.rows, "piece string, id int, score double")
+def _edges(segments: DataFrame, pieces: Pieces, edge) -> DataFrame:
+    """segment, edges, pids: each segment's lattice, an edge in the number that edge(start, len, id, rank) gives."""
+    table = segments.sparkSession.createDataFrame([(name, i, pieces.rank[name]) for name, i, _ in pieces.rows], "piece string, id int, rank int")
     n = F.length("segment")
     # one row for each start, then one for each length: all substrings up to the longest piece
     starts = segments.select("segment", "pids", F.explode(F.sequence(F.lit(0), n - 1)).alias("start"))
@@ -166,11 +196,72 @@ def best_paths(segments: DataFrame, model_path: str) -> DataFrame:
     subs = starts.select("segment", "pids", "start", F.explode(lengths).alias("len"))
     subs = subs.select("segment", "pids", "start", "len", F.substring("segment", F.col("start") + 1, F.col("len")).alias("piece"))
     edges = subs.join(F.broadcast(table), "piece", "left").where(F.col("id").isNotNull() | (F.col("len") == 1))  # a fixed vocabulary
-    # an edge in one number, in the order of the fold: end, start, piece (0: a character without one)
-    edge = F.shiftleft((F.col("start") + F.col("len")).cast("long"), 48) + F.shiftleft(F.col("start").cast("long"), 32) + F.coalesce("id", F.lit(0)).cast("long")
     once = F.when((F.col("start") == 0) & (F.col("len") == 1), F.col("pids"))  # not with every edge
-    edges = edges.select("segment", edge.alias("edge"), once.alias("pids"))
-    grouped = edges.groupBy("segment").agg(F.sort_array(F.collect_list("edge")).alias("edges"), F.first("pids", ignorenulls=True).alias("pids"))
+    edges = edges.select("segment", edge(F.col("start"), F.col("len"), F.coalesce("id", F.lit(0)).cast("long"), F.coalesce("rank", F.lit(0))).alias("edge"), once.alias("pids"))
+    return edges.groupBy("segment").agg(F.sort_array(F.collect_list("edge")).alias("edges"), F.first("pids", ignorenulls=True).alias("pids"))
+
+
+def _ids_of(pieces: Pieces, start: F.Column, piece: F.Column) -> F.Column:
+    """The piece, or the bytes of a character without one, as ids."""
+    char = F.hex(F.encode(F.substring("segment", start + 1, F.lit(1)), "UTF-8"))
+    byte = F.transform(F.sequence(F.lit(1), F.length(char) - 1, F.lit(2)), lambda k: F.conv(F.substring(char, k, F.lit(2)), 16, 10).cast("int") + F.lit(pieces.byte_id[0]))
+    return F.when(piece > 0, F.array(piece)).otherwise(byte)
+
+
+def merged_paths(segments: DataFrame, model_path: str) -> DataFrame:
+    """segments (segment, pids) with ids, the path that the model's merges leave of each one's lattice."""
+    pieces, _ = pieces_of(model_path)
+
+    def bits(x: F.Column, by: F.Column) -> F.Column:
+        return F.call_function("shiftleft", x, by)
+
+    def edge(start: F.Column, length: F.Column, piece: F.Column, rank: F.Column) -> F.Column:
+        # in the order of the merges: rank, start, length, piece
+        return F.shiftleft(rank.cast("long"), 32) + F.shiftleft(start.cast("long"), 26) + F.shiftleft(length.cast("long"), 20) + piece
+
+    def start_of(e: F.Column) -> F.Column:
+        return F.shiftright(e, 26).bitwiseAND(F.lit(63)).cast("int")
+
+    def inside(e: F.Column) -> F.Column:
+        """The places between an edge's ends."""
+        length = F.shiftright(e, 20).bitwiseAND(F.lit(63)).cast("int")
+        return bits(bits(F.lit(1).cast("long"), length - 1) - 1, start_of(e) + 1)
+
+    def span(at: F.Column, e: F.Column) -> F.Column:
+        """How many of the places in at an edge skips; none of either end's places has become a symbol's inside."""
+        length = F.shiftright(e, 20).bitwiseAND(F.lit(63)).cast("int")
+        ends = bits(bits(F.lit(1).cast("long"), length) + 1, start_of(e))
+        return F.when(at.bitwiseAND(ends) == ends, F.bit_count(at.bitwiseAND(inside(e)))).otherwise(-1)
+
+    cell = "struct<at:bigint,e:array<bigint>>"
+    n = F.length("segment")
+    several = F.filter("edges", lambda e: F.shiftright(e, 20).bitwiseAND(F.lit(63)) > 1)
+    first = F.struct((bits(F.lit(1).cast("long"), n + 1) - 1).alias("at"), several.alias("e")).cast(cell)
+
+    def step(state: F.Column, _: F.Column) -> F.Column:
+        hit = F.get(F.filter(state["e"], lambda e: span(state["at"], e) == 1), F.lit(0))
+        now = state["at"].bitwiseAND(F.bitwise_not(inside(hit)))
+        # an edge with one end inside a symbol, or that is a symbol, can merge no more
+        left = F.filter(state["e"], lambda e: span(now, e) > 0)
+        return F.when(F.size(state["e"]) == 0, state).when(hit.isNull(), F.struct(state["at"].alias("at"), F.array().cast("array<bigint>").alias("e"))).otherwise(F.struct(now.alias("at"), left.alias("e")))
+
+    at = F.aggregate(F.sequence(F.lit(1), n), first, step, lambda state: state["at"])
+    found = _edges(segments, pieces, edge).withColumn("at", at)
+    path = F.filter("edges", lambda e: span(F.col("at"), e) == 0)
+    path = F.array_sort(F.transform(path, lambda e: F.shiftleft(start_of(e).cast("long"), 20) + e.bitwiseAND(F.lit(0xFFFFF))))
+    ids = F.flatten(F.transform(path, lambda x: _ids_of(pieces, F.shiftright(x, 20).cast("int"), x.bitwiseAND(F.lit(0xFFFFF)).cast("int"))))
+    return found.select("segment", "pids", ids.alias("ids"))
+
+
+def best_paths(segments: DataFrame, model_path: str) -> DataFrame:
+    """segments (segment, pids) with ids, the best path through each one's lattice."""
+    pieces, _ = pieces_of(model_path)
+
+    def edge(start: F.Column, length: F.Column, piece: F.Column, rank: F.Column) -> F.Column:
+        # in the order of the fold: end, start, piece (0: a character without one)
+        return F.shiftleft((start + length).cast("long"), 48) + F.shiftleft(start.cast("long"), 32) + piece
+
+    grouped = _edges(segments, pieces, edge)
     by_id = [pieces.fallback] * (max(i for _, i, _ in pieces.rows) + 1)
     for _, i, score in pieces.rows:
         by_id[i] = score
@@ -178,36 +269,30 @@ def best_paths(segments: DataFrame, model_path: str) -> DataFrame:
     cell = "struct<s:double,p:array<int>>"
     first = F.array(F.struct(F.lit(0.0).alias("s"), F.array().cast("array<int>").alias("p"))).cast(f"array<{cell}>")
 
-    def ids_of(start: F.Column, piece: F.Column) -> F.Column:
-        """The piece, or the bytes of a character without one, as ids."""
-        char = F.hex(F.encode(F.substring("segment", start + 1, F.lit(1)), "UTF-8"))
-        byte = F.transform(F.sequence(F.lit(1), F.length(char) - 1, F.lit(2)), lambda k: F.conv(F.substring(char, k, F.lit(2)), 16, 10).cast("int") + F.lit(pieces.byte_id[0]))
-        return F.when(piece > 0, F.array(piece)).otherwise(byte)
-
     def fold(acc: F.Column, e: F.Column) -> F.Column:
         end = F.shiftright(e, 48).cast("int")
         start = F.shiftright(e, 32).bitwiseAND(F.lit(0xFFFF)).cast("int")
         piece = e.bitwiseAND(F.lit(0xFFFFFFFF)).cast("int")
         before = F.get(acc, start)
         total = before["s"] + F.get(scores, piece)
-        new = F.array(F.struct(total.alias("s"), F.concat(before["p"], ids_of(start, piece)).alias("p")))
+        new = F.array(F.struct(total.alias("s"), F.concat(before["p"], _ids_of(pieces, start, piece)).alias("p")))
         fresh = F.size(acc) <= end
         return F.when(fresh, F.concat(acc, new)).when(total > F.get(acc, end)["s"], F.concat(F.slice(acc, F.lit(1), end), new)).otherwise(acc)
 
     return grouped.select("segment", "pids", F.aggregate("edges", first, fold, lambda acc: F.element_at(acc, -1)["p"]).alias("ids"))
 
 
-def encode(docs: DataFrame, model_path: str, scratch: Scratch, text: str = "text", ids_col: str = "ids", finish=None) -> DataFrame:
-    """All columns of docs with ids, the best path of every whole text.
+def encode(docs: DataFrame, model_path: str, scratch: Scratch, text: str = "text", ids_col: str = "ids", finish=None, merged: bool = False) -> DataFrame:
+    """All columns of docs with ids, the best path of every whole text, or the one that the model's merges leave.
 
     finish: (schema, function of pieces, texts and a list of id arrays) for what is to stand in place of ids,
     computed where they are.
     """
     prepare(docs.sparkSession)
     docs = docs.drop(ids_col)
-    seen = segments_seen(docs, model_path, text)
+    seen = segments_seen(docs, model_path, text, MERGED_LONG if merged else LONG)
     segments = seen.groupBy("segment").agg(F.collect_set("pid").alias("pids"))
-    paths = best_paths(segments, model_path).select(F.explode("pids").alias("pid"), "segment", "ids")
+    paths = (merged_paths if merged else best_paths)(segments, model_path).select(F.explode("pids").alias("pid"), "segment", "ids")
     folder = f"{scratch.root}/dictionary"
     paths.repartition("pid").write.partitionBy("pid").parquet(folder)
     columns = docs.columns
@@ -219,6 +304,7 @@ def encode(docs: DataFrame, model_path: str, scratch: Scratch, text: str = "text
         from pyspark import TaskContext
 
         pieces, _ = pieces_of(model_path)
+        path_of = pieces.merged if merged else pieces.best
         known = _dictionary(folder, TaskContext.get().partitionId())
         words: dict[str, bytes] = {}
 
@@ -227,7 +313,7 @@ def encode(docs: DataFrame, model_path: str, scratch: Scratch, text: str = "text
             for s in pieces.cut(_spelled(word)):
                 ids = known.get(s)
                 if ids is None:
-                    ids = known[s] = np.array(pieces.best(s), np.int32).tobytes()
+                    ids = known[s] = np.array(path_of(s), np.int32).tobytes()
                 out.append(ids)
             return b"".join(out)
 
