@@ -2,7 +2,8 @@
 
 Language identification drops texts without a language; quality rules drop those that fail the base rule or
 leave their language's perplexity band; near-duplicate classes keep one document each; mixing puts the rest
-in the order of their sources' target weights; the last stage encodes whole texts to piece ids.
+in the order of their sources' target weights; the last stage encodes whole texts to piece ids and gives each
+its position in that order.
 """
 
 from __future__ import annotations
@@ -39,8 +40,11 @@ def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def encode_pieces(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    encoded = lattice.encode(docs, tokenizer_file("piece_bpe_32k.model"), Scratch(spark, "encode"), ids_col="ids", merged=True)
-    return encoded.select("doc_id", "lang", "source", F.size("ids").alias("n_tokens"), "ids")
+    scratch = Scratch(spark, "encode")
+    # files do not keep the order of rows; places follow from keys and sources alone, so the schedule gives them again
+    placed = pfair.in_order(pfair.schedule(docs, MIX, prefix="__m_"), prefix="__m_").select(*docs.columns, F.col("__m_position").alias("position"))
+    encoded = lattice.encode(scratch.keep(placed), tokenizer_file("piece_bpe_32k.model"), scratch, ids_col="ids", merged=True)
+    return encoded.select("doc_id", "lang", "source", "position", F.size("ids").alias("n_tokens"), "ids")
 
 
 STAGES = [
