@@ -5,7 +5,7 @@ information, so the data is ancillary and a player stays silent), after an ID3v2
 payload's length and CRC and a frame with a variable-bitrate table. Frames run at 320 kbit/s but the last,
 which takes the lowest rate that fits. read() works on any byte string: it skips ID3v2 and ID3v1 tags,
 finds frames again after damage (a header counts where the next one, or the end, follows it), parses
-Xing/Info and VBRI tables, checks layer III CRCs, and gives the exact duration in samples and the byte
+Xing/Info and VBRI tables, checks layer III CRCs (CRCs of layers I and II are counted as unverified: not intact), and gives the exact duration in samples and the byte
 offset of every frame for seeking.
 
 Defined results: null or empty text is a payload of 64 zero bytes; equal payloads give equal streams;
@@ -157,6 +157,7 @@ class Stream:
     samples: int = 0
     hz: int = 0
     bad_crcs: int = 0
+    unverified: int = 0  # frames with a checksum that is not checked, those of layers I and II
     skipped: int = 0
     parts: list[bytes] = field(default_factory=list)
 
@@ -169,7 +170,7 @@ class Stream:
     @property
     def intact(self) -> bool:
         told = self.tags.get("payload", "").split()
-        return not self.bad_crcs and not self.skipped and (len(told) != 2 or told[1] == str(zlib.crc32(self.payload)))
+        return not self.bad_crcs and not self.unverified and not self.skipped and (len(told) != 2 or told[1] == str(zlib.crc32(self.payload)))
 
 
 def _id3v2(data: bytes, out: Stream) -> int:
@@ -241,6 +242,7 @@ def read(data: bytes) -> Stream:
             skip += 2
             if h.layer == 3 and _crc_of(data[at + 2 : at + 4] + data[at + 6 : at + 6 + h.side]) != int.from_bytes(data[at + 4 : at + 6], "big"):
                 out.bad_crcs += 1
+            out.unverified += h.layer != 3
         if h.layer == 3:
             skip += h.side
         if not out.offsets and not out.table and _table(data, at, h, out):
@@ -285,7 +287,7 @@ def measure(media: DataFrame, keep: tuple[str, ...] = ("doc_id", "n_bytes"), col
             s = read(data)
             body = s.payload
             rate = sum(s.sizes) * 8 * s.hz // (1000 * s.samples) if s.samples else 0
-            feature = json.dumps({"frames": len(s.offsets), "samples": s.samples, "hz": s.hz, "kbps": rate, "table": s.table, "table_agrees": s.table_frames == len(s.offsets), "bad_crcs": s.bad_crcs, "skipped": s.skipped, "first": s.offsets[0] if s.offsets else None, "middle": s.offsets[len(s.offsets) // 2] if s.offsets else None}, separators=(",", ":"))
+            feature = json.dumps({"frames": len(s.offsets), "samples": s.samples, "hz": s.hz, "kbps": rate, "table": s.table, "table_agrees": s.table_frames == len(s.offsets), "bad_crcs": s.bad_crcs, "unverified": s.unverified, "skipped": s.skipped, "first": s.offsets[0] if s.offsets else None, "middle": s.offsets[len(s.offsets) // 2] if s.offsets else None}, separators=(",", ":"))
             return len(body), hashlib.sha256(body).hexdigest(), zlib.crc32(body[-64:]), len(data), hashlib.sha256(data).hexdigest(), len(s.offsets), s.samples, s.hz, s.offsets, s.intact, feature
 
         types = [pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string(), pa.int32(), pa.int64(), pa.int32(), pa.list_(pa.int32()), pa.bool_(), pa.string()]

@@ -60,7 +60,7 @@ def op8_license_sentences(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op9_mpeg_audio(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return mpeg.store_and_measure(documents(spark, sf_dir), Scratch(spark, "op9")).drop("frame_offsets")
+    return mpeg.store_and_measure(documents(spark, sf_dir), Scratch(spark, "op9"))
 
 
 #: Target weights of the given sources, in quanta.
