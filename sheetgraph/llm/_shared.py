@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import atexit
 import ctypes
 import os
 import tempfile
@@ -23,13 +24,32 @@ def prepare(spark: SparkSession) -> None:
         env["PYTHONPATH"] = os.pathsep.join(x for x in (PACKAGE_ROOT, known) if x)
 
 
+def unused(columns: list[str], *names: str) -> list[str]:
+    """The names, each with underscores in front until no column is called so, in any case of letters."""
+    taken, out = {c.lower() for c in columns}, []
+    for name in names:
+        while name.lower() in taken:
+            name = "_" + name
+        taken.add(name.lower())
+        out.append(name)
+    return out
+
+
+def without(df: DataFrame, *names: str) -> DataFrame:
+    """df without the columns that results of these names replace."""
+    low = {n.lower() for n in names}
+    return df.select(*[F.col(f"`{c}`") for c in df.columns if c.lower() not in low])
+
+
 def shared_folder(spark: SparkSession, label: str) -> str:
     """A new folder's URI under spark.checkpoint.dir, which driver and executors share.
 
-    Only where the session has no such setting (tests) is one set, in the local temp folder.
+    Only a local session without that setting (tests) gets one, in the temp folder of its one machine.
     """
     base = spark.conf.get("spark.checkpoint.dir", None)
     if not base:
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that driver and executors share")
         base = "file://" + os.path.join(tempfile.gettempdir(), "sheetgraph-checkpoints")
         if spark.sparkContext.getCheckpointDir() is None:
             spark.sparkContext.setCheckpointDir(base)
@@ -48,10 +68,26 @@ def file_system(uri: str):
 
 
 class Scratch:
-    """Intermediate tables written as parquet to the shared folder: they cut lineage and outlive executors."""
+    """Intermediate tables written as parquet to the shared folder: they cut lineage and outlive executors.
+
+    remove() deletes them all; what a driver process leaves is deleted when it ends.
+    """
 
     def __init__(self, spark: SparkSession, label: str):
         self.spark, self.root, self.count = spark, shared_folder(spark, label), 0
+        atexit.register(self._at_exit)
+
+    def _delete(self, path: str) -> None:
+        path = self.spark._jvm.org.apache.hadoop.fs.Path(path)
+        path.getFileSystem(self.spark._jsc.hadoopConfiguration()).delete(path, True)
+
+    def _at_exit(self) -> None:
+        if self.spark.sparkContext._jsc is not None:  # after stop() the folder is the cluster's to clear
+            self.remove()
+
+    def remove(self) -> None:
+        atexit.unregister(self._at_exit)
+        self._delete(self.root)
 
     def keep(self, df: DataFrame) -> DataFrame:
         self.count += 1
@@ -64,8 +100,7 @@ class Scratch:
     def drop(self, *frames: DataFrame) -> None:
         """Delete tables whose readers have all run."""
         for df in frames:
-            path = self.spark._jvm.org.apache.hadoop.fs.Path(df._sheetgraph_path)
-            path.getFileSystem(self.spark._jsc.hadoopConfiguration()).delete(path, True)
+            self._delete(df._sheetgraph_path)
 
 
 def documents(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -13,14 +13,18 @@ that join two symbols which stand side by side, the one of the highest score, of
 none is left; the ids are the library's. The ends of symbols are the bits of one number, so a segment in the
 lattice has up to MERGED_LONG characters.
 
-Segments go to the lattice once for the whole corpus, and come back to the task that holds the texts: the
-first pass notes which partition has seen a segment, and the dictionary is stored by partition in the
-shared folder. A task so loads what its own texts need, whatever the corpus holds; there is no broadcast
-but the fixed piece table. Segments over LONG or MERGED_LONG characters, and any that a changed partitioning left out,
-are folded by the same rule in the worker, in linear time (with a heap where merged).
+Segments go to the lattice once for the whole corpus, and come back to the task that holds the texts: a
+first pass emits each segment of a chunk (CHUNK characters of one partition's texts, in their order) with
+the chunk's number; a join brings the segment's ids to every chunk that has it, and the dictionary is
+stored by chunk in the shared folder. A task so holds what CHUNK characters need, whatever the corpus or
+the partition holds; there is no broadcast but the fixed piece table. Segments over LONG or MERGED_LONG
+characters are folded by the same rule in the worker (with a heap where merged). So would be segments that
+a chunk does not find, were rows to come in another order the second time; the result's accumulator
+`folded_in_workers` counts those, 0 in all runs so far.
 
 Defined results: null or empty text has no ids and decodes to the empty text; equal texts get equal ids; an
-empty table gives an empty table; columns named like the results are replaced.
+empty table gives an empty table; columns named like the results are replaced; a null doc_id and repeated
+rows are rows like others.
 """
 
 from __future__ import annotations
@@ -34,13 +38,14 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from sheetgraph.llm._shared import Scratch, file_system, map_arrow, prepare, runs_of, texts_of
+from sheetgraph.llm._shared import Scratch, file_system, map_arrow, prepare, runs_of, texts_of, without
 
 MARK = "▁"
 LONG = 256
 MERGED_LONG = 60
-SEEN_ENTRIES = 400_000
 CUT_ENTRIES = 150_000
+#: Characters of a partition's texts whose segments share one dictionary, and bits of a chunk's number.
+CHUNK, CHUNK_BITS = 32_000_000, 24
 
 
 class Pieces:
@@ -123,13 +128,13 @@ class Pieces:
         return ids
 
 
-_pieces: dict[str, tuple[Pieces, dict[str, list[str]]]] = {}
+_pieces: dict[str, Pieces] = {}
 
 
-def pieces_of(path: str) -> tuple[Pieces, dict[str, list[str]]]:
-    """The vocabulary and this worker's memory of how words were cut."""
+def pieces_of(path: str) -> Pieces:
+    """The vocabulary, read once in a process."""
     if path not in _pieces:
-        _pieces[path] = (Pieces(path), {})
+        _pieces[path] = Pieces(path)
     return _pieces[path]
 
 
@@ -153,20 +158,44 @@ def _spelled(word: str) -> str:
     return word if word[:1] == MARK else MARK + word
 
 
+class _Chunks:
+    """Deals the texts of a partition into chunks by their lengths alone, so that two passes agree."""
+
+    def __init__(self, partition: int):
+        self.at, self.chars = partition << CHUNK_BITS, 0
+
+    def deal(self, texts: list[str], most: int):
+        """(chunk, texts) for consecutive texts, at most about `most` characters at a time."""
+        for some in runs_of(texts, most):
+            start = 0
+            for k, t in enumerate(some):
+                if self.chars >= CHUNK:
+                    if k > start:
+                        yield self.at, some[start:k]
+                    self.at, self.chars, start = self.at + 1, 0, k
+                self.chars += len(t)
+            yield self.at, some[start:]
+
+
 def segments_seen(docs: DataFrame, model_path: str, text: str, longest: int = LONG) -> DataFrame:
-    """pid, segment for the distinct segments in each partition of docs, those of up to longest characters."""
+    """chunk, segment for the distinct segments in each chunk of docs, those of up to longest characters."""
 
     def make():
         from pyspark import TaskContext
 
-        pid = TaskContext.get().partitionId()
-        pieces, cuts = pieces_of(model_path)
-        words_seen: set[str] = set()
-        seen: set[str] = set()
+        pieces = pieces_of(model_path)
+        chunks = _Chunks(TaskContext.get().partitionId())
+        now, words_seen, seen = -1, set(), set()
 
         def step(batch: pa.RecordBatch) -> pa.RecordBatch:
+            nonlocal now
             out: list[str] = []
-            for some in runs_of(texts_of(batch.column(0))):
+            numbers: list[np.ndarray] = []
+            for chunk, some in chunks.deal(texts_of(batch.column(0)), 1_000_000):
+                if chunk != now:
+                    now = chunk
+                    words_seen.clear()
+                    seen.clear()
                 new: set[str] = set()
                 for t in some:
                     new.update(words_of(t))
@@ -175,30 +204,26 @@ def segments_seen(docs: DataFrame, model_path: str, text: str, longest: int = LO
                 parts = {s for w in new for s in pieces.cut(_spelled(w)) if len(s) <= longest} - seen
                 seen.update(parts)
                 out += parts
-                if len(seen) > SEEN_ENTRIES:  # then some come twice
-                    seen.clear()
-                if len(words_seen) > SEEN_ENTRIES:
-                    words_seen.clear()
-            return pa.RecordBatch.from_arrays([pa.array(np.full(len(out), pid, np.int32)), pa.array(out, pa.string())], names=["pid", "segment"])
+                numbers.append(np.full(len(parts), chunk, np.int64))
+            return pa.RecordBatch.from_arrays([pa.array(np.concatenate(numbers)), pa.array(out, pa.string())], names=["chunk", "segment"])
 
         return step
 
-    return map_arrow(docs.select(F.col(text).alias("text")), make, "pid int, segment string")
+    return map_arrow(docs.select(F.col(f"`{text}`").alias("text")), make, "chunk long, segment string")
 
 
 def _edges(segments: DataFrame, pieces: Pieces, edge) -> DataFrame:
-    """segment, edges, pids: each segment's lattice, an edge in the number that edge(start, len, id, rank) gives."""
+    """segment, edges: each segment's lattice, an edge in the number that edge(start, len, id, rank) gives."""
     table = segments.sparkSession.createDataFrame([(name, i, pieces.rank[name]) for name, i, _ in pieces.rows], "piece string, id int, rank int")
     n = F.length("segment")
     # one row for each start, then one for each length: all substrings up to the longest piece
-    starts = segments.select("segment", "pids", F.explode(F.sequence(F.lit(0), n - 1)).alias("start"))
+    starts = segments.select("segment", F.explode(F.sequence(F.lit(0), n - 1)).alias("start"))
     lengths = F.sequence(F.lit(1), F.least(F.lit(pieces.longest), n - F.col("start")))
-    subs = starts.select("segment", "pids", "start", F.explode(lengths).alias("len"))
-    subs = subs.select("segment", "pids", "start", "len", F.substring("segment", F.col("start") + 1, F.col("len")).alias("piece"))
+    subs = starts.select("segment", "start", F.explode(lengths).alias("len"))
+    subs = subs.select("segment", "start", "len", F.substring("segment", F.col("start") + 1, F.col("len")).alias("piece"))
     edges = subs.join(F.broadcast(table), "piece", "left").where(F.col("id").isNotNull() | (F.col("len") == 1))  # a fixed vocabulary
-    once = F.when((F.col("start") == 0) & (F.col("len") == 1), F.col("pids"))  # not with every edge
-    edges = edges.select("segment", edge(F.col("start"), F.col("len"), F.coalesce("id", F.lit(0)).cast("long"), F.coalesce("rank", F.lit(0))).alias("edge"), once.alias("pids"))
-    return edges.groupBy("segment").agg(F.sort_array(F.collect_list("edge")).alias("edges"), F.first("pids", ignorenulls=True).alias("pids"))
+    edges = edges.select("segment", edge(F.col("start"), F.col("len"), F.coalesce("id", F.lit(0)).cast("long"), F.coalesce("rank", F.lit(0))).alias("edge"))
+    return edges.groupBy("segment").agg(F.sort_array(F.collect_list("edge")).alias("edges"))
 
 
 def _ids_of(pieces: Pieces, start: F.Column, piece: F.Column) -> F.Column:
@@ -209,8 +234,8 @@ def _ids_of(pieces: Pieces, start: F.Column, piece: F.Column) -> F.Column:
 
 
 def merged_paths(segments: DataFrame, model_path: str) -> DataFrame:
-    """segments (segment, pids) with ids, the path that the model's merges leave of each one's lattice."""
-    pieces, _ = pieces_of(model_path)
+    """The segments with ids, the path that the model's merges leave of each one's lattice."""
+    pieces = pieces_of(model_path)
 
     def bits(x: F.Column, by: F.Column) -> F.Column:
         return F.call_function("shiftleft", x, by)
@@ -250,12 +275,12 @@ def merged_paths(segments: DataFrame, model_path: str) -> DataFrame:
     path = F.filter("edges", lambda e: span(F.col("at"), e) == 0)
     path = F.array_sort(F.transform(path, lambda e: F.shiftleft(start_of(e).cast("long"), 20) + e.bitwiseAND(F.lit(0xFFFFF))))
     ids = F.flatten(F.transform(path, lambda x: _ids_of(pieces, F.shiftright(x, 20).cast("int"), x.bitwiseAND(F.lit(0xFFFFF)).cast("int"))))
-    return found.select("segment", "pids", ids.alias("ids"))
+    return found.select("segment", ids.alias("ids"))
 
 
 def best_paths(segments: DataFrame, model_path: str) -> DataFrame:
-    """segments (segment, pids) with ids, the best path through each one's lattice."""
-    pieces, _ = pieces_of(model_path)
+    """The segments with ids, the best path through each one's lattice."""
+    pieces = pieces_of(model_path)
 
     def edge(start: F.Column, length: F.Column, piece: F.Column, rank: F.Column) -> F.Column:
         # in the order of the fold: end, start, piece (0: a character without one)
@@ -279,7 +304,7 @@ def best_paths(segments: DataFrame, model_path: str) -> DataFrame:
         fresh = F.size(acc) <= end
         return F.when(fresh, F.concat(acc, new)).when(total > F.get(acc, end)["s"], F.concat(F.slice(acc, F.lit(1), end), new)).otherwise(acc)
 
-    return grouped.select("segment", "pids", F.aggregate("edges", first, fold, lambda acc: F.element_at(acc, -1)["p"]).alias("ids"))
+    return grouped.select("segment", F.aggregate("edges", first, fold, lambda acc: F.element_at(acc, -1)["p"]).alias("ids"))
 
 
 def encode(docs: DataFrame, model_path: str, scratch: Scratch, text: str = "text", ids_col: str = "ids", finish=None, merged: bool = False) -> DataFrame:
@@ -288,38 +313,47 @@ def encode(docs: DataFrame, model_path: str, scratch: Scratch, text: str = "text
     finish: (schema, function of pieces, texts and a list of id arrays) for what is to stand in place of ids,
     computed where they are.
     """
-    prepare(docs.sparkSession)
-    docs = docs.drop(ids_col)
-    seen = segments_seen(docs, model_path, text, MERGED_LONG if merged else LONG)
-    segments = seen.groupBy("segment").agg(F.collect_set("pid").alias("pids"))
-    paths = (merged_paths if merged else best_paths)(segments, model_path).select(F.explode("pids").alias("pid"), "segment", "ids")
+    spark = docs.sparkSession
+    prepare(spark)
+    schema, last = finish or (f"`{ids_col}` array<int>", _as_ids)
+    added = T._parse_datatype_string(schema)
+    docs = without(docs, *added.names)
+    limit = MERGED_LONG if merged else LONG
+    seen = segments_seen(docs, model_path, text, limit).repartition("segment")
+    paths = (merged_paths if merged else best_paths)(seen.select("segment").distinct(), model_path)
     folder = f"{scratch.root}/dictionary"
-    paths.repartition("pid").write.partitionBy("pid").parquet(folder)
+    seen.join(paths, "segment").select("chunk", "segment", "ids").repartition("chunk").write.partitionBy("chunk").parquet(folder)
     columns = docs.columns
     at = columns.index(text)
-    schema, last = finish or (f"`{ids_col}` array<int>", _as_ids)
-    added = T._parse_datatype_string(schema)
+    missed = spark.sparkContext.accumulator(0)
 
     def make():
         from pyspark import TaskContext
 
-        pieces, _ = pieces_of(model_path)
+        pieces = pieces_of(model_path)
         path_of = pieces.merged if merged else pieces.best
-        known = _dictionary(folder, TaskContext.get().partitionId())
-        words: dict[str, bytes] = {}
+        chunks = _Chunks(TaskContext.get().partitionId())
+        now, known, words = -1, {}, {}
 
         def spell(word: str) -> bytes:
             out = []
             for s in pieces.cut(_spelled(word)):
                 ids = known.get(s)
                 if ids is None:
+                    if len(s) <= limit:
+                        missed.add(1)
                     ids = known[s] = np.array(path_of(s), np.int32).tobytes()
                 out.append(ids)
             return b"".join(out)
 
         def step(batch: pa.RecordBatch) -> pa.RecordBatch:
+            nonlocal now, known
             made = []
-            for some in runs_of(texts_of(batch.column(at)), 1_000_000):
+            for chunk, some in chunks.deal(texts_of(batch.column(at)), 1_000_000):
+                if chunk != now:
+                    known = {}  # the old one goes first
+                    now, known = chunk, _dictionary(folder, chunk)
+                    words.clear()
                 lists = [words_of(t) for t in some]
                 if len(words) > CUT_ENTRIES:
                     words.clear()
@@ -336,7 +370,9 @@ def encode(docs: DataFrame, model_path: str, scratch: Scratch, text: str = "text
 
         return step
 
-    return map_arrow(docs, make, T.StructType([*docs.schema.fields, *added.fields]))
+    out = map_arrow(docs, make, T.StructType([*docs.schema.fields, *added.fields]))
+    out.folded_in_workers = missed
+    return out
 
 
 def _as_ids(pieces: Pieces, texts: list[str], ids: list[np.ndarray]) -> list[pa.Array]:
@@ -355,12 +391,12 @@ def _as_digest(pieces: Pieces, texts: list[str], ids: list[np.ndarray]) -> list[
 DIGEST = ("n_tokens long, ids_crc32 long, round_trip boolean", _as_digest)
 
 
-def _dictionary(folder: str, pid: int) -> dict[str, bytes]:
-    """Segment to ids, as the lattice gave them for one partition."""
+def _dictionary(folder: str, chunk: int) -> dict[str, bytes]:
+    """Segment to ids, as the lattice gave them for one chunk."""
     import pyarrow.dataset as ds
     from pyarrow import fs as pafs
 
-    fs, path = file_system(f"{folder}/pid={pid}")
+    fs, path = file_system(f"{folder}/chunk={chunk}")
     found = fs.get_file_info(pafs.FileSelector(path, allow_not_found=True))
     names = [f.path for f in found if f.path.endswith(".parquet")]
     out: dict[str, bytes] = {}
@@ -382,12 +418,12 @@ def decode_ids(pieces: Pieces, ids: np.ndarray) -> str:
 def decode(encoded: DataFrame, model_path: str, ids_col: str = "ids", out_col: str = "decoded") -> DataFrame:
     """All columns with the text of the ids."""
     prepare(encoded.sparkSession)
-    encoded = encoded.drop(out_col)
+    encoded = without(encoded, out_col)
     columns = encoded.columns
     at = columns.index(ids_col)
 
     def make():
-        pieces, _ = pieces_of(model_path)
+        pieces = pieces_of(model_path)
 
         def step(batch: pa.RecordBatch) -> pa.RecordBatch:
             texts = [None if x is None else decode_ids(pieces, x) for x in _lists(batch.column(at))]

@@ -26,7 +26,7 @@ def test_ids_are_the_librarys(spark):
         assert pieces.merged("▁" + r.text.replace(" ", "▁") if r.text else "") == want
     # without the workers' own folds
     words = sorted({s for t in texts for w in lattice.words_of(t) for s in pieces.cut(w if w[:1] == "▁" else "▁" + w) if len(s) <= lattice.MERGED_LONG})
-    rows = spark.createDataFrame([(w, [0]) for w in words], "segment string, pids array<int>")
+    rows = spark.createDataFrame([(w,) for w in words], "segment string")
     got = {r.segment: list(r.ids) for r in lattice.merged_paths(rows, PIECES).collect()}
     assert got == {w: pieces.merged(w) for w in words}
 
