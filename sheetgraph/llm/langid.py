@@ -9,14 +9,20 @@ in Spark, the expected number of uses of each piece over all segmentations, and
 The forward pass runs over many words at once in numpy; a worker remembers recent words' scores, up to
 CACHE_ENTRIES. Fitting uses at most about fit_rows labelled rows, a documented bound, picked by a hash.
 
-Defined results: null text or text without a letter is `und` with score 0; equal texts get equal answers;
-words over MAX_WORD characters count as several; lang, source and doc_id play no part in a prediction; with
-no labelled rows every text is `und`; an empty table gives an empty table.
+A posterior among the learned languages says nothing of a text in none of them, so a background that holds
+every piece equally likely takes part too: `margin` is by how many nats a character the best language beats
+it. Below 0 no learned language explains the text better than the bare vocabulary does.
+
+Defined results: null text or text without a letter is `und` with score and margin 0; equal texts get equal
+answers; words over MAX_WORD characters count as several, in fitting as in prediction; lang, source and
+doc_id play no part in a prediction; with no labelled rows every text is `und`; an empty table gives an empty
+table; columns named like the results are replaced.
 """
 
 from __future__ import annotations
 
 import re
+from collections import Counter
 
 import numpy as np
 import pyarrow as pa
@@ -24,10 +30,10 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from sheetgraph.llm._shared import Scratch, map_arrow, prepare, runs_of, texts_of
+from sheetgraph.llm._shared import Scratch, map_arrow, prepare, runs_of, texts_of, without
 
 MARK = "▁"
-MAX_WORD = 256
+MAX_WORD = 32
 CACHE_ENTRIES = 400_000
 UNKNOWN = 1e-7
 LETTER = re.compile(r"[^\W\d_]")
@@ -192,9 +198,19 @@ def fit(docs: DataFrame, model_path: str, train: F.Column, fit_rows: int = 10_00
     picked = rows.where(F.pmod(F.xxhash64(key, F.lit("fit")), F.lit(1 << 20)) < int(share * (1 << 20)) + (share == 1.0))
     scratch = Scratch(spark, "langid")
     number = F.array_position(F.array(*[F.lit(x) for x in langs]), F.col(lang)) - 1
-    words = picked.select(number.cast("int").alias("lang"), F.explode(F.split(F.lower(text), r"\s+")).alias("word"))
-    words = words.where(F.length("word").between(1, 64)).groupBy("lang", "word").agg(F.count(F.lit(1)).alias("n"))
-    words = scratch.keep(words)
+
+    def count():
+        def step(batch: pa.RecordBatch) -> pa.RecordBatch:
+            seen: Counter = Counter()
+            for l, t in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
+                seen.update((l, w) for w in words_of(t))
+            names = list(seen)
+            return pa.RecordBatch.from_arrays([pa.array([l for l, _ in names], pa.int32()), pa.array([w for _, w in names], pa.string()), pa.array(list(seen.values()), pa.int64())], names=["lang", "word", "n"])
+
+        return step
+
+    words = map_arrow(picked.select(number.cast("int").alias("lang"), F.col(text).alias("text")), count, "lang int, word string, n long")
+    words = scratch.keep(words.groupBy("lang", "word").agg(F.sum("n").alias("n")))
     for _ in range(rounds):
         now = table
 
@@ -208,7 +224,7 @@ def fit(docs: DataFrame, model_path: str, train: F.Column, fit_rows: int = 10_00
             return step
 
         sums = map_arrow(words, make, "piece int, lang int, uses double").groupBy("piece", "lang").agg(F.sum("uses").alias("uses"))
-        got = sums.toPandas()  # pieces x languages at most
+        got = sums.toPandas()  # pieces x languages at most: the vocabulary is fixed, a language is some 100 KB
         table = np.zeros_like(now)
         table[got["piece"], got["lang"]] = got["uses"]
         table[: pieces.size] += 0.01  # no piece is impossible
@@ -223,9 +239,12 @@ def fit(docs: DataFrame, model_path: str, train: F.Column, fit_rows: int = 10_00
 def _predictor(model: Model):
     """Languages and scores of a list of texts, with this task's memory of words."""
     pieces, cache = pieces_of(model.path), {}
-    rows = [np.zeros((0, model.table.shape[1]))]
+    background = np.full((len(model.table), 1), 1 / pieces.size)
+    background[pieces.size:, 0] = 0, UNKNOWN
+    table = np.hstack([model.table, background])
+    rows = [np.zeros((0, table.shape[1]))]
 
-    def predict(texts: list[str]) -> tuple[list[str], list[float]]:
+    def predict(texts: list[str]) -> tuple[list[str], list[float], list[float]]:
         lists = [words_of(t) for t in texts]
         if len(cache) > CACHE_ENTRIES:
             cache.clear()
@@ -236,25 +255,29 @@ def _predictor(model: Model):
         new = [w for w in new if w not in cache]
         if new:
             cache.update(zip(new, range(len(cache), len(cache) + len(new))))
-            rows[:] = [np.vstack([rows[0], log_likelihoods(pieces, model.table, [MARK + w for w in new])])]
-        langs, scores = [], []
+            rows[:] = [np.vstack([rows[0], log_likelihoods(pieces, table, [MARK + w for w in new])])]
+        langs, scores, margins = [], [], []
         for t, u in zip(texts, lists):
             if not model.langs or not LETTER.search(t):
                 langs.append("und")
                 scores.append(0.0)
+                margins.append(0.0)
                 continue
             total = rows[0][np.fromiter(map(cache.__getitem__, u), np.int64, len(u))].sum(axis=0)
-            best = int(total.argmax())
+            told, bare = total[:-1], total[-1]
+            best = int(told.argmax())
             langs.append(model.langs[best])
-            scores.append(float(1 / np.exp(total - total[best]).sum()))
-        return langs, scores
+            scores.append(float(1 / np.exp(told - told[best]).sum()))
+            margins.append(float((told[best] - bare) / (sum(map(len, u)) + len(u))))
+        return langs, scores, margins
 
     return predict
 
 
-def predict(docs: DataFrame, model: Model, text: str = "text", lang_col: str = "lang_pred", score_col: str = "score") -> DataFrame:
-    """All columns of docs with two more, the language and its posterior probability."""
+def predict(docs: DataFrame, model: Model, text: str = "text", lang_col: str = "lang_pred", score_col: str = "score", margin_col: str = "margin") -> DataFrame:
+    """All columns of docs, then the language, its posterior probability and its margin over the background."""
     prepare(docs.sparkSession)
+    docs = without(docs, lang_col, score_col, margin_col)
     names = docs.columns
     at = names.index(text)
     shared = docs.sparkSession.sparkContext.broadcast(model)  # a few MB, see Model
@@ -263,17 +286,17 @@ def predict(docs: DataFrame, model: Model, text: str = "text", lang_col: str = "
         run = _predictor(shared.value)
 
         def step(batch: pa.RecordBatch) -> pa.RecordBatch:
-            langs, scores = [], []
+            langs, scores, margins = [], [], []
             for some in runs_of(texts_of(batch.column(at))):
-                got = run(some)
-                langs += got[0]
-                scores += got[1]
-            return pa.RecordBatch.from_arrays([*batch.columns, pa.array(langs, pa.string()), pa.array(scores, pa.float64())], names=[*names, lang_col, score_col])
+                for all_, got in zip((langs, scores, margins), run(some)):
+                    all_ += got
+            told = [pa.array(langs, pa.string()), pa.array(scores, pa.float64()), pa.array(margins, pa.float64())]
+            return pa.RecordBatch.from_arrays([*batch.columns, *told], names=[*names, lang_col, score_col, margin_col])
 
         return step
 
-    schema = T.StructType([*docs.schema.fields, T.StructField(lang_col, T.StringType()), T.StructField(score_col, T.DoubleType())])
-    return map_arrow(docs, make, schema)
+    added = [T.StructField(lang_col, T.StringType()), T.StructField(score_col, T.DoubleType()), T.StructField(margin_col, T.DoubleType())]
+    return map_arrow(docs, make, T.StructType([*docs.schema.fields, *added]))
 
 
 def held_out(key: str = "doc_id") -> F.Column:

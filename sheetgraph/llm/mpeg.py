@@ -197,8 +197,10 @@ def _table(data: bytes, at: int, h: Header, out: Stream) -> bool:
     x = at + 4 + 2 * h.crc + h.side
     if data[x : x + 4] in (b"Xing", b"Info"):
         out.table = data[x : x + 4].decode()
-        (flags,) = struct.unpack_from(">I", data, x + 4)
+        end = at + h.size  # fields that a cut frame has no room for are not there
+        flags = int.from_bytes(data[x + 4 : x + 8], "big") if x + 8 <= end else 0
         x += 8
+        flags &= (x + 4 * (flags & 1) <= end) | 2 * (x + 4 * (flags & 1) + 4 <= end) | 4 * (x + 4 * (flags & 1) + 2 * (flags & 2) + 100 <= end)
         if flags & 1:
             (out.table_frames,) = struct.unpack_from(">I", data, x)
             x += 4
@@ -212,6 +214,7 @@ def _table(data: bytes, at: int, h: Header, out: Stream) -> bool:
     if data[x : x + 4] == b"VBRI" and len(data) >= x + 26:
         out.table = "VBRI"
         out.table_bytes, out.table_frames, entries, scale, width = struct.unpack_from(">IIHHH", data, x + 10)
+        entries = min(entries, max(0, at + h.size - x - 26) // width if width else 0)
         out.points = [int.from_bytes(data[x + 26 + k * width : x + 26 + (k + 1) * width], "big") * scale for k in range(entries)]
         return True
     return False

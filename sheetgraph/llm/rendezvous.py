@@ -20,6 +20,8 @@ from pyspark.sql import functions as F
 
 #: Bytes counted for each record besides its text.
 RECORD_OVERHEAD = 8
+#: Rows that a task numbers at a time, on average.
+BUCKET_ROWS = 2_000_000
 
 
 def _cost(key: F.Column, shard: int, weight: float) -> F.Column:
@@ -32,14 +34,17 @@ def _winner(key: F.Column, weights: list[float]) -> F.Column:
     return F.array_min(F.array(*costs)).getField("shard")
 
 
-def assign(docs: DataFrame, weights: list[float], new_weight: float = 1.0, key: str = "doc_id", text: str = "text", buckets: int = 64) -> DataFrame:
+def assign(docs: DataFrame, weights: list[float], new_weight: float = 1.0, key: str = "doc_id", text: str = "text", buckets: int | None = None) -> DataFrame:
     """One row per record: key, size, text_crc32, law, shard, slot, grown_shard.
 
     weights: one per shard, all above 0. new_weight: of the shard that grown_shard adds.
-    buckets: slot numbering works on shards * buckets parts; the offsets table has that many rows.
+    buckets: slot numbering works on shards * buckets parts, and the offsets table has that many rows; by
+    default so many that a part has some BUCKET_ROWS rows, and 64 at least.
     """
     if not weights or min(weights) <= 0 or new_weight <= 0:
         raise ValueError("shard weights must be above 0")
+    if buckets is None:
+        buckets = max(64, -(-docs.count() // (len(weights) * BUCKET_ROWS)))
     body = F.coalesce(F.encode(F.col(text), "UTF-8"), F.lit(b""))
     rows = docs.select(
         F.col(key).alias("doc_id"),
@@ -47,8 +52,8 @@ def assign(docs: DataFrame, weights: list[float], new_weight: float = 1.0, key:
         F.crc32(body).cast("long").alias("text_crc32"),
     )
     rows = rows.withColumn("shard", _winner(F.col("doc_id"), weights)).withColumn("grown_shard", _winner(F.col("doc_id"), [*weights, new_weight]))
-    rows = rows.withColumn("part", F.pmod(F.xxhash64("doc_id", F.lit("slot")), F.lit(buckets)).cast("int"))
-    # shards * buckets rows at most, a bound that no data can exceed
+    rows = rows.withColumn("part", F.pmod(F.xxhash64("doc_id", "size", "text_crc32", F.lit("slot")), F.lit(buckets)).cast("int"))
+    # shards * buckets rows at most: 64 a shard, or one for BUCKET_ROWS rows
     sizes = rows.groupBy("shard", "part").agg(F.count(F.lit(1)).alias("n"))
     before = Window.partitionBy("shard").orderBy("part").rowsBetween(Window.unboundedPreceding, -1)
     offsets = sizes.select("shard", "part", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("offset"))

@@ -232,7 +232,7 @@ def test_perplexity(spark, docs, empty):
 
 def test_kneser_ney_sums_to_one(spark):
     docs = spark.createDataFrame([("en", "abba baab abab aaab bbba cab"), ("en", "acab abc")], "lang string, text string")
-    levels = perplexity.fit(docs, Scratch(spark, "t")).load()["en"]
+    levels = perplexity.fit(docs, Scratch(spark, "t")).load("en")
     grams, p, *_ = levels[0]
     # all symbols of the alphabet, seen or not, after the shortest context
     seen = (2.0 ** p.astype(float)).sum()
