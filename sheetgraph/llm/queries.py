@@ -21,7 +21,7 @@ def op1_rendezvous_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op2_order_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return order_minhash.classes(documents(spark, sf_dir), Scratch(spark, "op2")).drop("__node")
+    return order_minhash.classes(documents(spark, sf_dir), Scratch(spark, "op2"))
 
 
 def op3_sorted_string_tables(spark: SparkSession, sf_dir: str) -> DataFrame:
