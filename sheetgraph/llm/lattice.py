@@ -237,6 +237,8 @@ def merged_paths(segments: DataFrame, model_path: str) -> DataFrame:
     """The segments with ids, the path that the model's merges leave of each one's lattice."""
     pieces = pieces_of(model_path)
 
+    one, done = F.lit(1).cast("long"), F.lit(-(1 << 63)).cast("long")
+
     def bits(x: F.Column, by: F.Column) -> F.Column:
         return F.call_function("shiftleft", x, by)
 
@@ -244,36 +246,38 @@ def merged_paths(segments: DataFrame, model_path: str) -> DataFrame:
         # in the order of the merges: rank, start, length, piece
         return F.shiftleft(rank.cast("long"), 32) + F.shiftleft(start.cast("long"), 26) + F.shiftleft(length.cast("long"), 20) + piece
 
-    def start_of(e: F.Column) -> F.Column:
-        return F.shiftright(e, 26).bitwiseAND(F.lit(63)).cast("int")
+    def field(e: F.Column, by: int, width: int) -> F.Column:
+        return F.shiftright(e, by).bitwiseAND(F.lit((1 << width) - 1)).cast("int")
 
-    def inside(e: F.Column) -> F.Column:
-        """The places between an edge's ends."""
-        length = F.shiftright(e, 20).bitwiseAND(F.lit(63)).cast("int")
-        return bits(bits(F.lit(1).cast("long"), length - 1) - 1, start_of(e) + 1)
+    def places(e: F.Column) -> F.Column:
+        """Bits of an edge's ends, and of the places between them."""
+        start, length = field(e, 26, 6), field(e, 20, 6)
+        return F.struct(bits(bits(one, length) + 1, start).alias("ends"), bits(bits(one, length - 1) - 1, start + 1).alias("inner"))
 
-    def span(at: F.Column, e: F.Column) -> F.Column:
-        """How many of the places in at an edge skips; none of either end's places has become a symbol's inside."""
-        length = F.shiftright(e, 20).bitwiseAND(F.lit(63)).cast("int")
-        ends = bits(bits(F.lit(1).cast("long"), length) + 1, start_of(e))
-        return F.when(at.bitwiseAND(ends) == ends, F.bit_count(at.bitwiseAND(inside(e)))).otherwise(-1)
+    def stands(at: F.Column, x: F.Column) -> F.Column:
+        return at.bitwiseAND(x["ends"]) == x["ends"]
 
-    cell = "struct<at:bigint,e:array<bigint>>"
     n = F.length("segment")
-    several = F.filter("edges", lambda e: F.shiftright(e, 20).bitwiseAND(F.lit(63)) > 1)
-    first = F.struct((bits(F.lit(1).cast("long"), n + 1) - 1).alias("at"), several.alias("e")).cast(cell)
-
-    def step(state: F.Column, _: F.Column) -> F.Column:
-        hit = F.get(F.filter(state["e"], lambda e: span(state["at"], e) == 1), F.lit(0))
-        now = state["at"].bitwiseAND(F.bitwise_not(inside(hit)))
-        # an edge with one end inside a symbol, or that is a symbol, can merge no more
-        left = F.filter(state["e"], lambda e: span(now, e) > 0)
-        return F.when(F.size(state["e"]) == 0, state).when(hit.isNull(), F.struct(state["at"].alias("at"), F.array().cast("array<bigint>").alias("e"))).otherwise(F.struct(now.alias("at"), left.alias("e")))
-
-    at = F.aggregate(F.sequence(F.lit(1), n), first, step, lambda state: state["at"])
-    found = _edges(segments, pieces, edge).withColumn("at", at)
-    path = F.filter("edges", lambda e: span(F.col("at"), e) == 0)
-    path = F.array_sort(F.transform(path, lambda e: F.shiftleft(start_of(e).cast("long"), 20) + e.bitwiseAND(F.lit(0xFFFFF))))
+    several = F.transform(F.filter("edges", lambda e: field(e, 20, 6) > 1), places)
+
+    def merge(edges: F.Column) -> F.Column:
+        def step(at: F.Column, _: F.Column) -> F.Column:
+            # the ends of symbols; the first edge over just two of them merges, and without one the sign says so
+            hit = F.slice(F.filter(edges, lambda x: stands(at, x) & (F.bit_count(at.bitwiseAND(x["inner"])) == 1)), 1, 1)
+            return F.when(at < 0, at).otherwise(F.aggregate(hit, at.bitwiseOR(done), lambda _, x: at.bitwiseAND(F.bitwise_not(x["inner"]))))
+
+        return F.aggregate(F.sequence(F.lit(1), n), bits(one, n + 1) - 1, step, lambda at: at.bitwiseAND(F.lit((1 << 63) - 1)))
+
+    def bound(value: F.Column, body) -> F.Column:
+        """body(value) as an array; the value is found once, where the optimizer would put it in all its places."""
+        return F.transform(F.array(value), body)
+
+    def symbols(at: F.Column) -> F.Column:
+        kept = F.filter("edges", lambda e: stands(at, places(e)) & (at.bitwiseAND(places(e)["inner"]) == 0))
+        return F.array_sort(F.transform(kept, lambda e: F.shiftleft(field(e, 26, 6).cast("long"), 20) + e.bitwiseAND(F.lit(0xFFFFF))))
+
+    found = _edges(segments, pieces, edge)
+    path = F.flatten(F.transform(bound(several, merge), symbols))
     ids = F.flatten(F.transform(path, lambda x: _ids_of(pieces, F.shiftright(x, 20).cast("int"), x.bitwiseAND(F.lit(0xFFFFF)).cast("int"))))
     return found.select("segment", ids.alias("ids"))
 
@@ -320,7 +324,9 @@ def encode(docs: DataFrame, model_path: str, scratch: Scratch, text: str = "text
     docs = without(docs, *added.names)
     limit = MERGED_LONG if merged else LONG
     seen = segments_seen(docs, model_path, text, limit).repartition("segment")
-    paths = (merged_paths if merged else best_paths)(seen.select("segment").distinct(), model_path)
+    # the condition always holds; by it both sides of the join read all of one shuffle, which so runs once
+    once = seen.groupBy("segment").agg(F.min("chunk").alias("least")).where("least >= 0").select("segment")
+    paths = (merged_paths if merged else best_paths)(once, model_path)
     folder = f"{scratch.root}/dictionary"
     seen.join(paths, "segment").select("chunk", "segment", "ids").repartition("chunk").write.partitionBy("chunk").parquet(folder)
     columns = docs.columns
