@@ -45,7 +45,7 @@ LONG = 256
 MERGED_LONG = 60
 CUT_ENTRIES = 150_000
 #: Characters of a partition's texts whose segments share one dictionary, and bits of a chunk's number.
-CHUNK, CHUNK_BITS = 32_000_000, 24
+CHUNK, CHUNK_BITS = 16_000_000, 24
 
 
 class Pieces:
