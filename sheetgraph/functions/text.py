@@ -31,6 +31,8 @@ TRUE_WORDS = ("true", "yes", "y", "x", "1", "ja", "j", "wahr", "on")
 FALSE_WORDS = ("false", "no", "n", "0", "nein", "falsch", "off")
 # end of fixed values
 
+#: Day 0 of a spreadsheet's calendar.
+EPOCH = "1899-12-30 00:00:00"
 NAMES = "|".join(sorted((n for names in MONTHS.values() for n in names), key=len, reverse=True))
 TIME = r"([0-9]{1,2}):([0-9]{2})(?::([0-9]{2}))?(?: ?([AaPp])\.?[Mm]\.?)?"
 #: Date forms and which groups hold year, month, day; slashes are month first, dots day first.
@@ -59,7 +61,7 @@ def _date_of(text: Column, before: str, after: str) -> Column:
         pattern = before + form + after
         part = [F.regexp_extract(low, pattern, k) for k in (y, m, d)]
         day = F.concat_ws("-", part[0], _month(part[1]), F.lpad(part[2], 2, "0"))
-        found.append(F.when(low.rlike(pattern), F.date_format(F.try_to_timestamp(day, F.lit("yyyy-MM-dd")), "yyyy-MM-dd")))
+        found.append(F.when(low.rlike(pattern), day.try_cast("date").cast("string")))
     return F.coalesce(*found)
 
 
@@ -87,9 +89,9 @@ def datetime_text(text: Column) -> Column:
 
 
 def serial_datetime(n: Column) -> Column:
-    """A spreadsheet's day number as date with time, rounded to the second."""
+    """A spreadsheet's day number as date with time, rounded to the second; no time zone has a part in it."""
     seconds = F.round(n * 86400).cast("long")
-    return F.date_format(F.timestamp_seconds(seconds - F.lit(25569 * 86400)), "yyyy-MM-dd'T'HH:mm:ss")
+    return F.replace(F.timestamp_add("SECOND", seconds, F.lit(EPOCH).cast("timestamp_ntz")).cast("string"), F.lit(" "), F.lit("T"))
 
 
 def serial_date(n: Column) -> Column:
@@ -98,12 +100,12 @@ def serial_date(n: Column) -> Column:
 
 def serial_of(ts: Column) -> Column:
     """Day number of a timestamp without zone."""
-    return F.unix_micros(ts.cast("timestamp")) / F.lit(86_400_000_000.0) + F.lit(25569.0)
+    return F.timestamp_diff("MICROSECOND", F.lit(EPOCH).cast("timestamp_ntz"), ts.cast("timestamp_ntz")) / F.lit(86_400_000_000.0)
 
 
 def decimal_text(n: Column) -> Column:
     """Shortest decimal form of a double, without exponent or trailing zeros."""
-    plain = n.cast("decimal(38,12)").cast("string")
+    plain = F.coalesce(n.try_cast("decimal(38,12)").cast("string"), n.cast("string"))  # beyond 26 digits as Spark prints it
     return F.regexp_replace(F.regexp_replace(plain, r"(\.[0-9]*?)0+$", "$1"), r"\.$", "")
 
 
@@ -140,8 +142,8 @@ def parse_boolean(text: Column, true_words=TRUE_WORDS, false_words=FALSE_WORDS)
 
 
 def slug(text: Column) -> Column:
-    """The part of an entity's IRI that its label gives."""
-    return F.regexp_replace(F.lower(F.trim(text)), r"[^a-z0-9]+", "-")
+    """The part of an entity's IRI that its label gives: lower case, percent-encoded UTF-8, so labels stay apart."""
+    return F.replace(F.url_encode(F.lower(F.trim(text))), F.lit("+"), F.lit("%20"))
 
 
 def entity_iri(text: Column) -> Column:

@@ -6,7 +6,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from sheetgraph.functions import text as X
-from sheetgraph.operators.heuristics import TEMPLATES
+from sheetgraph.operators.heuristics import REGISTERED, all_templates
 from sheetgraph.operators.profile import BITS, COLUMN, number_mask, text_mask
 
 TRIPLES = ("sheet_id", "row_id", "col", "s", "p", "o", "o_kind", "o_datatype")
@@ -14,18 +14,22 @@ TRIPLES = ("sheet_id", "row_id", "col", "s", "p", "o", "o_kind", "o_datatype")
 
 def generate(nodes: DataFrame) -> DataFrame:
     """One predicate-object map a (virtual) column: its templates in order, as an array of objects."""
-    one = F.struct("level", "template", "score", "cells")
+    one = F.struct("level", "template", "score", "cells", "loose")
     return nodes.groupBy(*COLUMN).agg(F.sort_array(F.collect_list(one)).alias("objects"))
 
 
 def fixed(spark, rows: list[tuple[str, str, str]]) -> DataFrame:
     """A mapping by hand: (sheet, column, template)."""
-    made = spark.createDataFrame([(a, b, None, 0, t, 1.0, 0, 0) for a, b, t in rows], "sheet_id string, col string, style_key string, level int, template string, score double, rank int, cells long")
+    made = spark.createDataFrame([(a, b, None, 0, t, 1.0, 0, 0, True) for a, b, t in rows], "sheet_id string, col string, style_key string, level int, template string, score double, rank int, cells long, loose boolean")
     return generate(made)
 
 
-def _covers(template: Column, mode: str) -> Column:
-    """Whether an object's template can map the cell in the row."""
+#: Templates that look into a text to tell whether they cover it.
+TEXT_READING = ("T2", "T3", "T4", "T5", "T6", "T7", "T8")
+
+
+def _covers(template: Column, loose: Column, mode: str) -> Column:
+    """Whether an object's template can map the cell in the row; loose: what the tree decided by the column."""
     m, k, f = F.col("mask"), F.col("kind"), F.col("format_class")
 
     def bit(name: str) -> Column:
@@ -33,7 +37,7 @@ def _covers(template: Column, mode: str) -> Column:
 
     text, number = k == "S", k == "N"
     dated = F.coalesce(f.isin("date", "datetime"), F.lit(False))
-    counted = number if mode == "literal" else number & (dated | F.col("dated_text"))
+    counted = number if mode == "literal" else number & (dated | loose)
     any_number = F.lit(mode == "calibrated")
     cases = {
         "T2": (text & bit("int")) | (number & bit("whole")),
@@ -42,7 +46,7 @@ def _covers(template: Column, mode: str) -> Column:
         "T5": (text & bit("date")) | counted,
         "T6": (text & bit("datetime")) | counted,
         "T7": text & bit("list"),
-        "T8": text & (bit("word") | F.col("one_text")),
+        "T8": text & (bit("word") | loose),
         "T9": F.lit(True),
         "T10": text,
         "T11": text,
@@ -52,6 +56,7 @@ def _covers(template: Column, mode: str) -> Column:
         "T15": number & F.coalesce(f == "date", F.lit(False)),
         "T15t": number & F.coalesce(f == "datetime", F.lit(False)),
     }
+    cases |= {k: x.applies() for k, x in REGISTERED.items()}
     out = None
     for t, test in cases.items():
         out = F.when(template == t, test) if out is None else out.when(template == t, test)
@@ -67,7 +72,7 @@ def _objects() -> Column:
     """Lexical forms or IRIs of a cell under its template."""
     s, n, b, t = F.col("s"), F.col("n"), F.col("b"), F.col("template")
     number = X.decimal_text(n)
-    truth = F.coalesce(X.parse_boolean(s), F.when(F.col("one_text"), F.lit(True)))
+    truth = F.coalesce(X.parse_boolean(s), F.when(F.col("loose"), F.lit(True)))
     cases = {
         "T2": F.array(F.coalesce(X.parse_number(s, integer=True), number)),
         "T3": F.array(F.coalesce(X.parse_number(s, "."), number)),
@@ -78,13 +83,14 @@ def _objects() -> Column:
         "T8": F.array(truth.cast("string")),
         "T9": F.array(_text_form()),
         "T10": F.array(X.entity_iri(s)),
-        "T11": F.array_distinct(F.transform(X.tokens(s), X.entity_iri)),
+        "T11": F.when(F.size(X.tokens(s)) > 0, F.array_distinct(F.transform(X.tokens(s), X.entity_iri))).otherwise(F.array(X.entity_iri(s))),
         "T12": F.array(b.cast("string")),
         "T13": F.array(number),
         "T14": F.array(number),
         "T15": F.array(X.serial_date(n)),
         "T15t": F.array(X.serial_datetime(n)),
     }
+    cases |= {k: x.objects() for k, x in REGISTERED.items()}
     out = None
     for k, v in cases.items():
         out = F.when(t == k, v) if out is None else out.when(t == k, v)
@@ -97,15 +103,17 @@ def run(mapping: DataFrame, cells: DataFrame, mode: str = "literal", base: str =
     The mapping has a row for each column and is joined by column; cells are not shuffled where Spark finds
     it small, and any number of sheets is a join on (sheet, column) else.
     """
-    masked = cells.withColumn("mask", F.when(F.col("kind") == "S", text_mask(F.col("s"))).when(F.col("kind") == "N", number_mask(F.col("n"))).otherwise(0))
     m = mapping.select(F.col("sheet_id").alias("m_sheet"), F.col("col").alias("m_col"), F.col("style_key").alias("m_style"), "objects")
     on = (F.col("sheet_id") == F.col("m_sheet")) & (F.col("col") == F.col("m_col")) & F.coalesce("style_key", F.lit("-")).eqNullSafe(F.coalesce("m_style", F.lit("-")))
-    joined = masked.join(m, on).withColumn("one_text", F.exists("objects", lambda o: (o["template"] == "T8") & (o["level"] == 0)) & (F.size("objects") == 1))
-    joined = joined.withColumn("dated_text", F.exists("objects", lambda o: o["template"].isin("T5", "T6")))
-    chosen = joined.withColumn("template", F.get(F.filter("objects", lambda o: _covers(o["template"], mode)), F.lit(0))["template"])
+    joined = cells.join(m, on)
+    # texts are read only in columns with a template that asks for it
+    reads = F.exists("objects", lambda o: o["template"].isin(*TEXT_READING, *REGISTERED))
+    masked = joined.withColumn("mask", F.when((F.col("kind") == "S") & reads, text_mask(F.col("s"))).when(F.col("kind") == "N", number_mask(F.col("n"))).otherwise(0))
+    found = F.get(F.filter("objects", lambda o: _covers(o["template"], o["loose"], mode)), F.lit(0))
+    chosen = masked.withColumn("found", found).select(*cells.columns, F.col("found.template").alias("template"), F.col("found.loose").alias("loose"))
     each = chosen.where(F.col("template").isNotNull()).select(*CELL_KEYS, "template", F.explode(_objects()).alias("o")).where(F.col("o").isNotNull())
-    datatype = F.create_map(*[F.lit(x) for t in TEMPLATES.values() for x in (t.id, t.datatype)])
-    column = F.concat(F.lit(base), F.col("sheet_id"), F.lit("/prop/"), F.col("col"), F.when(F.coalesce("style_key", F.lit("")) != "", F.concat(F.lit("#"), "style_key")).otherwise(""))
+    datatype = F.create_map(*[F.lit(x) for t in all_templates() for x in (t.id, t.datatype)])
+    column = F.concat(F.lit(base), F.col("sheet_id"), F.lit("/prop/"), F.col("col"), F.when(F.coalesce("style_key", F.lit("")) != "", F.concat(F.lit("#"), F.replace("style_key", F.lit("#"), F.lit("%23")))).otherwise(""))
     return each.select(
         "sheet_id",
         "row_id",
@@ -135,12 +143,18 @@ def turtle_lines(mapping: DataFrame) -> DataFrame:
     t = F.col("obj.template")
 
     def of(field: str) -> Column:
-        return F.element_at(F.create_map(*[F.lit(x) for k in TEMPLATES.values() for x in (k.id, getattr(k, field))]), t)
+        return F.element_at(F.create_map(*[F.lit(x) for k in all_templates() for x in (k.id, getattr(k, field))]), t)
 
     datatype = F.when(of("datatype") != "", F.concat(F.lit("; rr:datatype "), of("datatype"))).otherwise("")
     function = F.when(of("function") != "", F.concat(F.lit('; fn:call "'), of("function"), F.lit('"'))).otherwise("")
     term = F.when(of("term") == "iri", "rr:IRI").otherwise("rr:Literal")
-    line = F.concat(F.lit("[] rr:predicate <urn:sheetgraph:"), "sheet_id", F.lit("/prop/"), "col", F.lit('>; rr:objectMap [ ml:reference "'), of("reference"), F.lit('"; rr:termType '), term, datatype, function, F.lit(" ] ."))
+    # a virtual column is read out of the styled text first, then by its template's own function
+    key = F.coalesce("style_key", F.lit("-"))
+    tag = F.regexp_extract(key, r"^(b|i|u|strike)\b", 1)
+    styled = F.when(key == "-", "").when(key == "", '; fn:from "getEntitiesByUnformatted"').when(tag != "", F.concat(F.lit('; fn:from "getEntitiesByTag"; fn:tag "'), tag, F.lit('"'))).otherwise(F.concat(F.lit('; fn:from "getEntitiesByColor"; fn:color "'), key, F.lit('"')))
+    function = F.concat(styled, function)
+    style = F.when(key.isin("-", ""), "").otherwise(F.concat(F.lit("#"), F.replace(key, F.lit("#"), F.lit("%23"))))
+    line = F.concat(F.lit("[] rr:predicate <urn:sheetgraph:"), "sheet_id", F.lit("/prop/"), "col", style, F.lit('>; rr:objectMap [ ml:reference "'), of("reference"), F.lit('"; rr:termType '), term, datatype, function, F.lit(" ] ."))
     return rows.select(*COLUMN, F.col("obj.level").alias("level"), line.alias("line"))
 
 

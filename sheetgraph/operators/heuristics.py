@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
 from dataclasses import dataclass
 
 from pyspark.sql import Column, DataFrame
@@ -28,7 +29,7 @@ class Template:
     order: int
 
 
-# Fixed values of the templates; further ones can be registered
+# Fixed values of the templates
 TEMPLATES = {
     t.id: t
     for t in (
@@ -53,6 +54,40 @@ TEMPLATES = {
 # end of fixed values
 
 
+@dataclass(frozen=True)
+class Registered:
+    """A template of the user's own: how it scores a column, which classes of cells it covers, what it makes.
+
+    score: of the live classes of a column, dicts with kind, format_class, mask, cells, singles, texts, length.
+    covers: of kind, format class and mask, on values; applies: the same as a column over cells with a mask.
+    objects: column over cells, an array of lexical forms.
+    """
+
+    template: Template
+    score: Callable[[list[dict]], float]
+    covers: Callable[[str, str | None, int], bool]
+    applies: Callable[[], Column]
+    objects: Callable[[], Column]
+
+
+REGISTERED: dict[str, Registered] = {}
+
+
+def register(entry: Registered) -> None:
+    """Let trees choose, and mappings run, a further template; an id can be taken once."""
+    if entry.template.id in TEMPLATES or entry.template.id in REGISTERED:
+        raise ValueError(f"template {entry.template.id} is there already")
+    REGISTERED[entry.template.id] = entry
+
+
+def template_of(id_: str) -> Template:
+    return REGISTERED[id_].template if id_ in REGISTERED else TEMPLATES[id_]
+
+
+def all_templates() -> list[Template]:
+    return [*TEMPLATES.values(), *(x.template for x in REGISTERED.values())]
+
+
 def dup(c: Column, u: Column, p: Column) -> Column:
     """Degree of duplication: half how many elements recur, half how uniform they are; 0 up to one element."""
     c = c.cast("double")
@@ -120,4 +155,7 @@ def dup_degree(df: DataFrame, column: str) -> DataFrame:
 
 
 def predict_roots(cells: DataFrame, mode: str = "literal") -> DataFrame:
-    return pick(scores(column_profile(cells), mode))
+    """The root of each column's tree: the one way templates are chosen."""
+    from sheetgraph.operators import tree
+
+    return tree.build(cells, mode, max_depth=1).select(*COLUMN, "template", "score", "rank")

@@ -11,9 +11,11 @@ def _normal(c):
     return F.trim(F.regexp_replace(F.lower(c), r"[^\p{L}\p{N}]+", " "))
 
 
-def link_ngrams(texts: DataFrame, lexicon: DataFrame, key: str, text: str, most: int = 5) -> DataFrame:
-    """key, label for every label of up to `most` words that a text holds as whole words. Any lexicon size:
-    an equi-join that Spark broadcasts where the lexicon is small."""
+def link_ngrams(texts: DataFrame, lexicon: DataFrame, key: str, text: str, most: int | None = None) -> DataFrame:
+    """key, label for every label that a text holds as whole words. Any lexicon size: an equi-join that Spark
+    broadcasts where the lexicon is small. most: words of the longest label, counted where not given."""
+    if most is None:
+        most = lexicon.agg(F.max(F.size(F.split(_normal(F.col("label")), " ")))).first()[0] or 1
     words = F.split(_normal(F.col(text)), " ")
     grams = texts.select(key, F.explode(F.array_distinct(F.flatten(F.transform(F.sequence(F.lit(1), F.lit(most)), lambda n: F.transform(F.sequence(F.lit(1), F.greatest(F.size(words) - n + 1, F.lit(1))), lambda i: F.array_join(F.slice(words, i, n), " ")))))).alias("gram"))
     labels = lexicon.select("label", _normal(F.col("label")).alias("gram")).distinct()
@@ -21,13 +23,15 @@ def link_ngrams(texts: DataFrame, lexicon: DataFrame, key: str, text: str, most:
 
 
 def link_automaton(texts: DataFrame, lexicon: DataFrame, key: str, text: str, overlap: str = "longest", max_labels: int = 1_000_000) -> DataFrame:
-    """key, label by one pass of a multi-pattern automaton over each text; beyond max_labels, by n-grams.
+    """key, label by one pass of a multi-pattern automaton over each text.
+
+    The automaton is in every worker, so a lexicon beyond max_labels is refused: link_ngrams takes any.
 
     overlap: longest keeps the longest of overlapping labels, all every one.
     """
     rows = lexicon.select("label").distinct().limit(max_labels + 1).collect()
     if len(rows) > max_labels:
-        return link_ngrams(texts, lexicon, key, text)
+        raise ValueError(f"more than {max_labels} labels: use link_ngrams")
     labels = [r["label"] for r in rows]
     kind = texts.schema[key].dataType.simpleString()
 

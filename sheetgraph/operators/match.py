@@ -15,9 +15,9 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from sheetgraph.session import prepare
+
 CELL = ("sheet_id", "row_id", "col")
-#: Statements of the shorter side beyond which the exact star matcher takes the greedy one's place.
-GREEDY_LIMIT = 8
 
 
 class Match:
@@ -127,6 +127,17 @@ def star(actual: list[tuple], expected: list[tuple]) -> int:
     return _assignment(gain)
 
 
+def shares_resources(graph: list[tuple]) -> bool:
+    """Whether a resource stands under two predicates, which the star matcher can't see."""
+    under: dict[str, str] = {}
+    return any(kind == "iri" and under.setdefault(o, p) != p for p, o, kind, _ in graph)
+
+
+def best_overlap(actual: list[tuple], expected: list[tuple]) -> int:
+    """Exact at any size: by assignment where no resource has two predicates, by search else."""
+    return greedy(actual, expected)[0] if shares_resources(actual) or shares_resources(expected) else star(actual, expected)
+
+
 def _assignment(gain: list[list[int]]) -> int:
     """Greatest sum of a one-to-one choice of rows and columns, by shortest augmenting paths."""
     if not gain or not gain[0]:
@@ -182,11 +193,9 @@ def brute_force(actual: list[tuple], expected: list[tuple]) -> int:
 def _sides(actual: DataFrame, expected: DataFrame) -> DataFrame:
     """A row for each cell with the statements of either side as arrays."""
     one = F.struct("p", "o", "o_kind", F.coalesce("o_datatype", F.lit("")).alias("o_datatype"))
-    a = actual.groupBy(*CELL).agg(F.sort_array(F.collect_set(one)).alias("a"))
-    e = expected.groupBy(*CELL).agg(F.sort_array(F.collect_set(one)).alias("e"))
-    joined = a.join(e, list(CELL), "full")
-    none = F.array().cast("array<struct<p:string,o:string,o_kind:string,o_datatype:string>>")
-    return joined.select(*CELL, F.coalesce("a", none).alias("a"), F.coalesce("e", none).alias("e"))
+    both = actual.select(*CELL, one.alias("one"), F.lit(True).alias("ours")).unionByName(expected.select(*CELL, one.alias("one"), F.lit(False).alias("ours")))
+    sides = [F.sort_array(F.collect_set(F.when(F.col("ours") == x, F.col("one")))).alias(name) for name, x in (("a", True), ("e", False))]
+    return both.groupBy(*CELL).agg(*sides)  # one shuffle, and no join
 
 
 def match_cells(actual: DataFrame, expected: DataFrame, method: str = "auto") -> DataFrame:
@@ -214,11 +223,12 @@ def match_cells(actual: DataFrame, expected: DataFrame, method: str = "auto") ->
             out = []
             for r in batch.to_pylist():
                 a, e = ([tuple(x.values()) for x in r[k]] for k in "ae")
-                search = method == "greedy" or method == "auto" and min(len(a), len(e)) <= GREEDY_LIMIT
-                out.append((*(r[k] for k in CELL), greedy(a, e)[0] if search else star(a, e), len(a), len(e)))
+                tp = greedy(a, e)[0] if method == "greedy" else star(a, e) if method == "star" else best_overlap(a, e)
+                out.append((*(r[k] for k in CELL), tp, len(a), len(e)))
             cols = list(zip(*out)) if out else [()] * 6
             yield pa.RecordBatch.from_arrays([pa.array(c, pa.string() if k < 3 else pa.int32()) for k, c in enumerate(cols)], names=[*CELL, "tp", "na", "ne"])
 
+    prepare(actual.sparkSession)
     hard = (sides if method in ("greedy", "star") else sides.where(~closed)).mapInArrow(run, "sheet_id string, row_id string, col string, tp int, na int, ne int")
     all_ = hard if method in ("greedy", "star") else easy.unionByName(hard)
     return all_.select(*CELL, "tp", (F.col("na") - F.col("tp")).alias("fp"), (F.col("ne") - F.col("tp")).alias("fn"))

@@ -7,6 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from sheetgraph import surface
 from sheetgraph.functions import text as X
 from sheetgraph.operators import cells as C
 from sheetgraph.operators import execute, heuristics, profile, richtext, tree
@@ -245,6 +246,9 @@ for _n, _s in SQL_BOTH.items():
     query(_n, _s)(lambda spark, d, s=_s: _sql(spark, d, s))
 
 
+surface.register(query)
+
+
 @query("join_asof_purchase", "SELECT event_id, coalesce(last_value(CASE WHEN event_type = 'click' THEN event_id END IGNORE NULLS) OVER (PARTITION BY user_id ORDER BY event_id), -1) AS click FROM events")
 def join_asof_purchase(spark, d):
     w = Window.partitionBy("user_id").orderBy("event_id").rowsBetween(Window.unboundedPreceding, 0)

@@ -22,3 +22,12 @@ def local_session(name: str = "sheetgraph", cores: int | str = "*", shuffle_part
     )
     spark.sparkContext.setLogLevel("ERROR")
     return spark
+
+
+def prepare(spark: SparkSession) -> None:
+    """Let Python workers import this package also where only the driver's sys.path has it."""
+    root = os.path.dirname(os.path.dirname(os.path.abspath(__file__)))
+    env = spark.sparkContext.environment
+    known = env.get("PYTHONPATH", "")
+    if root not in known.split(os.pathsep):
+        env["PYTHONPATH"] = os.pathsep.join(x for x in (root, known) if x)
