@@ -46,23 +46,21 @@ DATE_FORMS = (
 )
 
 
-def _month(name: Column) -> Column:
-    out = F.when(name.rlike("^[0-9]+$"), F.lpad(name, 2, "0"))
-    for number, names in MONTHS.items():
-        out = out.when(name.isin(*names), F.lit(f"{number:02d}"))
-    return out
-
-
 def _date_of(text: Column, before: str, after: str) -> Column:
-    """ISO date of the first form that matches between the two patterns and is a day of the calendar."""
-    low = F.lower(text)
-    found = []
+    """ISO date of the first form that matches between the two patterns, if it is a day of the calendar."""
+    low, raw = F.lower(text), None
     for form, (y, m, d) in DATE_FORMS:
         pattern = before + form + after
-        part = [F.regexp_extract(low, pattern, k) for k in (y, m, d)]
-        day = F.concat_ws("-", part[0], _month(part[1]), F.lpad(part[2], 2, "0"))
-        found.append(F.when(low.rlike(pattern), day.try_cast("date").cast("string")))
-    return F.coalesce(*found)
+        ordered = F.regexp_replace(low, "(?s)^.*?" + pattern + ".*$", f"${y}|${m}|${d}")
+        raw = F.when(low.rlike(pattern), ordered) if raw is None else raw.when(low.rlike(pattern), ordered)
+    months = F.create_map(*[F.lit(x) for number, names in MONTHS.items() for name in names for x in (name, f"{number:02d}")])
+
+    def day(parts: Column) -> Column:
+        month = F.coalesce(F.element_at(months, parts[1]), F.lpad(parts[1], 2, "0"))
+        return F.concat_ws("-", parts[0], month, F.lpad(parts[2], 2, "0")).try_cast("date").cast("string")
+
+    # in an array of one, so that the forms stand in the plan once
+    return F.get(F.transform(F.array(F.split(raw, r"\|")), day), F.lit(0))
 
 
 def date_text(text: Column) -> Column:
@@ -72,7 +70,7 @@ def date_text(text: Column) -> Column:
 
 def find_date(text: Column) -> Column:
     """The first date found anywhere in the text."""
-    return F.when(text.rlike("[0-9]"), _date_of(text, "(?:^|[^0-9a-z])", "(?:$|[^0-9])"))
+    return F.when(text.rlike("[0-9]"), _date_of(text, "(?<![0-9a-z])", "(?![0-9])"))
 
 
 def datetime_text(text: Column) -> Column:
@@ -88,19 +86,27 @@ def datetime_text(text: Column) -> Column:
     return F.when(t.rlike(pattern) & day.isNotNull() & (hour < 24) & (minute < 60) & (second < 60), F.concat(day, F.lit("T"), clock))
 
 
+def _on_calendar(n: Column) -> Column:
+    """The day number where it is in the years 1 to 9999, else null."""
+    return F.when(n.between(-693_593, 2_958_465), n)
+
+
 def serial_datetime(n: Column) -> Column:
     """A spreadsheet's day number as date with time, rounded to the second; no time zone has a part in it."""
+    n = _on_calendar(n)
     seconds = F.round(n * 86400).cast("long")
     return F.replace(F.timestamp_add("SECOND", seconds, F.lit(EPOCH).cast("timestamp_ntz")).cast("string"), F.lit(" "), F.lit("T"))
 
 
 def serial_date(n: Column) -> Column:
-    return F.date_format(F.date_add(F.lit("1899-12-30").cast("date"), F.floor(n).cast("int")), "yyyy-MM-dd")
+    return F.date_format(F.date_add(F.lit("1899-12-30").cast("date"), F.floor(_on_calendar(n)).cast("int")), "yyyy-MM-dd")
 
 
 def serial_of(ts: Column) -> Column:
     """Day number of a timestamp without zone."""
-    return F.timestamp_diff("MICROSECOND", F.lit(EPOCH).cast("timestamp_ntz"), ts.cast("timestamp_ntz")) / F.lit(86_400_000_000.0)
+    since = ts.cast("timestamp_ntz") - F.lit(EPOCH).cast("timestamp_ntz")
+    day, hour, minute, second = (F.extract(F.lit(x), since).cast("double") for x in ("DAY", "HOUR", "MINUTE", "SECOND"))
+    return day + (hour * 3600 + minute * 60 + second) / 86400
 
 
 def decimal_text(n: Column) -> Column:

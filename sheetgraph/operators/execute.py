@@ -77,8 +77,8 @@ def _objects() -> Column:
         "T2": F.array(F.coalesce(X.parse_number(s, integer=True), number)),
         "T3": F.array(F.coalesce(X.parse_number(s, "."), number)),
         "T4": F.array(F.coalesce(X.parse_number(s, ","), number)),
-        "T5": F.array(F.coalesce(X.date_text(s), X.find_date(s), X.serial_date(n))),
-        "T6": F.array(F.coalesce(X.datetime_text(s), X.serial_datetime(n))),
+        "T5": F.array(F.coalesce(X.date_text(s), X.find_date(s), X.serial_date(n), number)),  # a number off the calendar stays one
+        "T6": F.array(F.coalesce(X.datetime_text(s), X.serial_datetime(n), number)),
         "T7": X.parse_numbers(s),
         "T8": F.array(truth.cast("string")),
         "T9": F.array(_text_form()),
@@ -87,8 +87,8 @@ def _objects() -> Column:
         "T12": F.array(b.cast("string")),
         "T13": F.array(number),
         "T14": F.array(number),
-        "T15": F.array(X.serial_date(n)),
-        "T15t": F.array(X.serial_datetime(n)),
+        "T15": F.array(F.coalesce(X.serial_date(n), number)),
+        "T15t": F.array(F.coalesce(X.serial_datetime(n), number)),
     }
     cases |= {k: x.objects() for k, x in REGISTERED.items()}
     out = None
@@ -109,9 +109,10 @@ def run(mapping: DataFrame, cells: DataFrame, mode: str = "literal", base: str =
     # texts are read only in columns with a template that asks for it
     reads = F.exists("objects", lambda o: o["template"].isin(*TEXT_READING, *REGISTERED))
     masked = joined.withColumn("mask", F.when((F.col("kind") == "S") & reads, text_mask(F.col("s"))).when(F.col("kind") == "N", number_mask(F.col("n"))).otherwise(0))
-    found = F.get(F.filter("objects", lambda o: _covers(o["template"], o["loose"], mode)), F.lit(0))
-    chosen = masked.withColumn("found", found).select(*cells.columns, F.col("found.template").alias("template"), F.col("found.loose").alias("loose"))
-    each = chosen.where(F.col("template").isNotNull()).select(*CELL_KEYS, "template", F.explode(_objects()).alias("o")).where(F.col("o").isNotNull())
+    # exploded, not filtered: a condition would go below the join and read every text once more
+    found = F.slice(F.filter("objects", lambda o: _covers(o["template"], o["loose"], mode)), 1, 1)
+    chosen = masked.select(*cells.columns, F.explode(found).alias("found")).select(*cells.columns, "found.template", "found.loose")
+    each = chosen.select(*CELL_KEYS, "template", F.explode(_objects()).alias("o")).where(F.col("o").isNotNull())
     datatype = F.create_map(*[F.lit(x) for t in all_templates() for x in (t.id, t.datatype)])
     column = F.concat(F.lit(base), F.col("sheet_id"), F.lit("/prop/"), F.col("col"), F.when(F.coalesce("style_key", F.lit("")) != "", F.concat(F.lit("#"), F.replace("style_key", F.lit("#"), F.lit("%23")))).otherwise(""))
     return each.select(

@@ -254,8 +254,9 @@ def sheet_scope(actual: DataFrame, expected: DataFrame) -> DataFrame:
     a = actual.select(*CELL, F.col("p").alias("pa")).distinct()
     e = expected.select(*CELL, F.col("p").alias("pe")).distinct()
     votes = a.join(e, list(CELL)).groupBy("sheet_id", "pa", "pe").agg(F.count(F.lit(1)).alias("n"))
-    best = votes.groupBy("sheet_id", "pa").agg(F.max_by("pe", F.struct("n", "pe")).alias("pe"))
-    renamed = actual.join(best, (actual["sheet_id"] == best["sheet_id"]) & (F.col("p") == F.col("pa")), "left").select(*[actual[c] for c in actual.columns if c != "p"], F.coalesce("pe", "p").alias("p"))
+    best = votes.groupBy("sheet_id", "pa").agg(F.max_by("pe", F.struct("n", "pe")).alias("pe")).toDF("voted_sheet", "pa", "pe")
+    named = actual.join(best, (F.col("sheet_id") == F.col("voted_sheet")) & (F.col("p") == F.col("pa")), "left").withColumn("p", F.coalesce("pe", "p"))
+    renamed = named.select(*actual.columns)
     return grade(renamed, expected, "auto")
 
 

@@ -7,10 +7,11 @@ from functools import reduce
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from sheetgraph.operators import baseline, execute, match, richtext, tree
+from sheetgraph.operators import baseline, execute, heuristics, match, richtext, tree
 from sheetgraph.operators import cells as C
 from sheetgraph.plans import mess, truth
-from sheetgraph.plans.store import keep
+from sheetgraph.plans.store import keep, shared_folder
+from sheetgraph.sources import workbook
 
 
 def predict(cells: DataFrame, mode: str = "literal", split: bool = True, **args) -> DataFrame:
@@ -123,3 +124,95 @@ def error_confusion(spark: SparkSession, sf_dir: str, mode: str = "literal") ->
     rows = [(s, c, "T14" if t == "N" else t) for s, of in truth.EXPECTED.items() for c, t in of.items()]
     goal = spark.createDataFrame(rows, "sheet_id string, col string, expected string")
     return goal.join(chosen, ["sheet_id", "col"]).groupBy("expected", F.col("template").alias("chosen")).agg(F.count(F.lit(1)).alias("columns"))
+
+
+def grade_portal_mean(spark: SparkSession, sf_dir: str, mode: str = "literal") -> DataFrame:
+    """Mean and deviations over the portal sheets."""
+    return match.summary(grade_portal(spark, sf_dir, mode).withColumn("set", F.lit("portal")), ("set",))
+
+
+def grade_matchers(spark: SparkSession, sf_dir: str, sheets: tuple[str, ...] = ("nation", "customer")) -> DataFrame:
+    """The same statements graded by plain equality, the star matcher, the cell matcher, and one match a sheet."""
+    cells = C.portal_cells(spark, sf_dir, sheets)
+    actual, goal = keep(predict(cells, split=False)), keep(truth.expected(spark, cells, sheets))
+    graded = [match.grade(actual, goal, m).withColumn("method", F.lit(m)) for m in ("identity", "star", "auto")]
+    return reduce(DataFrame.unionByName, [*graded, match.sheet_scope(actual, goal).withColumn("method", F.lit("sheet"))])
+
+
+def literal_first_visits(spark: SparkSession, sf_dir: str, sheets: tuple[str, ...] = ("customer", "part")) -> DataFrame:
+    """Pairings that the search tries on whole rows, with literals first and not, and the statements matched."""
+    import pyarrow as pa
+
+    from sheetgraph.session import prepare
+
+    prepare(spark)
+    goal = truth.expected(spark, C.portal_cells(spark, sf_dir, sheets), sheets)
+    one = F.struct("p", "o", "o_kind", F.coalesce("o_datatype", F.lit("")).alias("o_datatype"))
+    rows = goal.groupBy("sheet_id", "row_id").agg(F.sort_array(F.collect_set(one)).alias("e"))
+
+    def run(batches):
+        for batch in batches:
+            out = []
+            for sheet, _, e in zip(*(c.to_pylist() for c in batch.columns)):
+                e = [tuple(x.values()) for x in e]
+                a = [(f"renamed {p}", f"renamed {o}" if kind == "iri" else o, kind, d) for p, o, kind, d in e][::-1]
+                for first in (True, False):
+                    overlap, _, visits = match.greedy(a, e, first)
+                    out.append((sheet, first, visits, overlap))
+            types = (pa.string(), pa.bool_(), pa.int64(), pa.int64())
+            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*out), types)], names=["sheet_id", "literal_first", "visits", "overlap"])
+
+    each = rows.mapInArrow(run, "sheet_id string, literal_first boolean, visits long, overlap long")
+    return each.groupBy("sheet_id", "literal_first").agg(F.sum("visits").alias("visits"), F.sum("overlap").alias("overlap"))
+
+
+def grade_entity_counts(spark: SparkSession, sf_dir: str, patterns: tuple[str, ...] = ("extra_information", "relations_by_style")) -> DataFrame:
+    """One entity a cell, several, or either, on the patterns that put more into a cell."""
+    cells, goal = messy_runs(spark, sf_dir, patterns, ("K1", "K2"))
+    every = [t.id for t in heuristics.all_templates()]
+    out = []
+    for name, left_out in (("single", "T11"), ("multiple", "T10"), ("either", None)):
+        actual = predict(cells, templates=tuple(t for t in every if t != left_out))
+        out.append(match.summary(grade_runs(actual, goal), ("pattern",)).withColumn("entities", F.lit(name)))
+    return reduce(DataFrame.unionByName, out)
+
+
+def grade_without_styles(spark: SparkSession, sf_dir: str, patterns: tuple[str, ...] = ("relations_by_style", "outdated_struck", "value_as_color")) -> DataFrame:
+    """The styled patterns with the split into virtual columns, and without."""
+    cells, goal = messy_runs(spark, sf_dir, patterns)
+    out = [match.summary(grade_runs(predict(cells, split=s), goal), ("pattern",)).withColumn("split", F.lit(s)) for s in (True, False)]
+    return out[0].unionByName(out[1])
+
+
+def hinted_roots(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Line items' flags with an expert's word that the status is an entity."""
+    cells = C.portal_cells(spark, sf_dir, ("lineitem",)).where(F.col("col").isin("l_linestatus", "l_returnflag"))
+    hints = spark.createDataFrame([("lineitem", "l_linestatus", "T11")], "sheet_id string, col string, template string")
+    return tree.build(cells, hints=hints).select("col", "level", "template", "cells")
+
+
+def _store(folder: str, files: dict[str, bytes]) -> None:
+    from pyarrow import fs
+
+    store, path = fs.FileSystem.from_uri(folder if "://" in folder else "file://" + folder.removeprefix("file:"))
+    store.create_dir(path, recursive=True)
+    for name, content in files.items():
+        with store.open_output_stream(f"{path}/{name}") as out:
+            out.write(content)
+
+
+def collection_funnel(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Good, cut, empty, renamed and badly headed workbooks through the collection's steps."""
+    good = workbook.write({"nation": [["k", "name"], *([r.n_nationkey, r.n_name] for r in spark.read.parquet(f"{sf_dir}/nation.parquet").collect())]})  # 25 rows
+    bad = workbook.write({"x": [["a", " "], [1, "b"]]})
+    folder = shared_folder(spark)
+    _store(folder, {"good.xlsx": good, "more.xlsx": good, "cut.xlsx": good[: len(good) // 2], "empty.xlsx": b"", "text.xlsx": b"name,value", "header.xlsx": bad})
+    return workbook.funnel(spark, folder)
+
+
+def workbook_cells(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Nations and regions written as a workbook and read again: cells by sheet, column and kind."""
+    sheets = {t: [list(df.columns), *map(list, df.collect())] for t in ("nation", "region") for df in [spark.read.parquet(f"{sf_dir}/{t}.parquet")]}  # 30 rows
+    folder = shared_folder(spark)
+    _store(folder, {"world.xlsx": workbook.write(sheets)})
+    return workbook.cells(spark, folder).groupBy("sheet_id", "col", "kind").agg(F.count(F.lit(1)).alias("n"), F.sum("n").alias("total"), F.max("s").alias("last"))

@@ -171,12 +171,19 @@ def triples_nation(spark, d):
     return execute.run(execute.generate(tree.build(cells)), cells).select("s", "p", "o", "o_datatype")
 
 
-@query("triples_orders", "SELECT o_orderkey::VARCHAR AS row_id, unnest(['o_orderkey','o_custkey','o_orderdate','o_orderstatus']) AS col, unnest([o_orderkey::VARCHAR, o_custkey::VARCHAR, strftime(o_orderdate, '%Y-%m-%d'), 'urn:sheetgraph:entity/' || lower(o_orderstatus)]) AS o FROM orders")
+@query("triples_orders", "SELECT row_id, col, o FROM (SELECT o_orderkey::VARCHAR AS row_id, unnest(['o_orderkey','o_custkey','o_orderdate','o_orderstatus','o_orderpriority']) AS col, unnest([o_orderkey::VARCHAR, o_custkey::VARCHAR, strftime(o_orderdate, '%Y-%m-%d'), 'urn:sheetgraph:entity/' || lower(o_orderstatus), 'urn:sheetgraph:entity/' || replace(lower(o_orderpriority), ' ', '%20')]) AS o FROM orders) UNION ALL SELECT o_orderkey::VARCHAR, 'o_totalprice', strftime(make_timestamp(((round(o_totalprice * 86400))::BIGINT - 25569 * 86400::BIGINT) * 1000000), '%Y-%m-%dT%H:%M:%S') FROM orders")
 def triples_orders(spark, d):
-    cells = C.portal_cells(spark, d, ("orders",)).where(F.col("col").isin("o_orderkey", "o_custkey", "o_orderdate", "o_orderstatus"))
+    """The whole sheet; by the stated formulas a column of whole and fractional numbers reads as date-times."""
+    cells = C.portal_cells(spark, d, ("orders",))
     return execute.run(execute.generate(tree.build(cells)), cells).select("row_id", "col", "o")
 
 
+@query("triples_customer_calibrated", "SELECT row_id, col, o FROM (SELECT c_custkey::VARCHAR AS row_id, unnest(['c_custkey','c_name','c_nationkey','c_mktsegment']) AS col, unnest([c_custkey::VARCHAR, c_name, c_nationkey::VARCHAR, 'urn:sheetgraph:entity/' || lower(c_mktsegment)]) AS o FROM customer) UNION ALL SELECT c_custkey::VARCHAR, 'c_acctbal', CASE WHEN c_acctbal = round(c_acctbal) THEN CAST(c_acctbal::BIGINT AS VARCHAR) ELSE rtrim(CAST(c_acctbal::DECIMAL(38,2) AS VARCHAR), '0') END FROM customer")
+def triples_customer_calibrated(spark, d):
+    cells = C.portal_cells(spark, d, ("customer",))
+    return execute.run(execute.generate(tree.build(cells, "calibrated")), cells, "calibrated").select("row_id", "col", "o")
+
+
 query("mapping_turtle")(lambda spark, d: execute.turtle_lines(execute.generate(tree.build(C.portal_cells(spark, d, ("part", "orders"))))).drop("style_key"))
 
 
@@ -212,6 +219,18 @@ query("grade_industry_baseline")(lambda spark, d: workloads.grade_industry(spark
 query("manual_sheet_statements")(lambda spark, d: workloads.predict(mess.manual_sheet(spark, d)))
 query("grade_orders_customer")(lambda spark, d: workloads.grade_portal(spark, d, "literal", ("orders", "customer")))
 
+for _mode in heuristics.MODES:
+    query(f"grade_portal_mean_{_mode}")(lambda spark, d, m=_mode: workloads.grade_portal_mean(spark, d, m))
+query("grade_matchers")(lambda spark, d: workloads.grade_matchers(spark, d))
+query("literal_first_visits")(lambda spark, d: workloads.literal_first_visits(spark, d))
+query("ablation_entity_counts")(lambda spark, d: workloads.grade_entity_counts(spark, d))
+query("ablation_no_style_split")(lambda spark, d: workloads.grade_without_styles(spark, d))
+query("grade_patterns_baseline_raw")(lambda spark, d: workloads.grade_patterns(spark, d, "raw"))
+query("grade_industry_baseline_raw")(lambda spark, d: workloads.grade_industry(spark, d, "raw"))
+query("hinted_roots", "SELECT 'l_linestatus' AS col, 0 AS level, 'T11' AS template, count(l_linestatus) AS cells FROM lineitem UNION ALL SELECT 'l_returnflag', 0, 'T11', count(l_returnflag) FROM lineitem")(lambda spark, d: workloads.hinted_roots(spark, d))
+query("collection_funnel", "SELECT count(*) AS listed, count_if(size > 0)::BIGINT AS fetched, count_if(size > 0 AND whole)::BIGINT AS parsed, count_if(size > 0 AND whole AND header)::BIGINT AS kept FROM (VALUES (9, true, true), (9, true, true), (4, false, true), (0, false, false), (9, false, false), (9, true, false)) t(size, whole, header)")(lambda spark, d: workloads.collection_funnel(spark, d))
+query("workbook_cells", "SELECT 'world.xlsx/' || t AS sheet_id, col, kind, n, total, last FROM (SELECT 'nation' AS t, 'n_nationkey' AS col, 'N' AS kind, count(*) AS n, sum(n_nationkey)::DOUBLE AS total, NULL::VARCHAR AS last FROM nation UNION ALL SELECT 'nation', 'n_regionkey', 'N', count(*), sum(n_regionkey)::DOUBLE, NULL FROM nation UNION ALL SELECT 'nation', 'n_name', 'S', count(*), NULL, max(n_name) FROM nation UNION ALL SELECT 'region', 'r_regionkey', 'N', count(*), sum(r_regionkey)::DOUBLE, NULL FROM region UNION ALL SELECT 'region', 'r_name', 'S', count(*), NULL, max(r_name) FROM region)")(lambda spark, d: workloads.workbook_cells(spark, d))
+
 # ---- engine surface: one SQL text for both engines
 
 SQL_BOTH = {
