@@ -332,13 +332,14 @@ def linked(xs: list[np.ndarray], ys: list[np.ndarray]) -> np.ndarray:
     return out
 
 
-def _late_links(open_: DataFrame, texts: DataFrame, nodes: DataFrame, scratch: Scratch) -> DataFrame:
+def _late_links(open_: DataFrame, texts: DataFrame, scratch: Scratch) -> DataFrame:
     """Links (a, b) between the components that share a bucket: one for each two, if there is any.
 
     open_: h, node, label, main. Nodes outside a bucket's main component meet all others, in blocks. The
     difference in length, and half that of two word histograms, is at most the edit distance, so those that
     exceed it are passed over, and the rest is aligned in the block: rows come out for links alone, not for
-    pairs. Two nodes that share several buckets meet in that of their smallest common key.
+    pairs. Two nodes that share several buckets meet in that of their smallest common key. A word goes in 32
+    bits, which can only make texts seem nearer, so the caller aligns the links found by their words.
     """
 
     def make():
@@ -348,7 +349,7 @@ def _late_links(open_: DataFrame, texts: DataFrame, nodes: DataFrame, scratch: S
             ids = []
             for t in batch.column(1).to_pylist():
                 words = words_of(t)
-                ids.append(np.fromiter(map(hashes.__getitem__, words), np.uint64, len(words)).tobytes())
+                ids.append(np.fromiter(map(hashes.__getitem__, words), np.uint64, len(words)).astype(np.uint32).tobytes())
                 if len(hashes) > WORD_CACHE:
                     hashes.clear()
             return pa.RecordBatch.from_arrays([batch.column(0), pa.array(ids, pa.binary())], names=["node", "ids"])
@@ -357,7 +358,8 @@ def _late_links(open_: DataFrame, texts: DataFrame, nodes: DataFrame, scratch: S
 
     open_ = scratch.keep(open_)
     some = texts.join(open_.select(F.col("node").alias("__node")).distinct(), "__node", "left_semi")
-    signed = scratch.keep(open_.join(map_arrow(some.select("__node", "__text"), make, "node long, ids binary"), "node").join(nodes.select(F.col("__node").alias("node"), F.col("__keys").alias("keys")), "node"))
+    shared = open_.groupBy("node").agg(F.collect_set("h").alias("keys"))  # of the buckets that are open, not all
+    signed = scratch.keep(open_.join(map_arrow(some.select("__node", "__text"), make, "node long, ids binary"), "node").join(shared, "node"))
     sizes = signed.groupBy("h").agg(F.ceil(F.count(F.lit(1)) / BLOCK).alias("blocks"), F.ceil(F.count_if(F.col("label") != F.col("main")) / BLOCK).alias("minor_blocks"))
     rows = signed.join(sizes, "h").withColumn("own", F.pmod(F.xxhash64("node"), "blocks")).withColumn("minor", F.pmod(F.xxhash64("node"), "minor_blocks"))
     columns = ["h", "node", "label", "main", "ids", "keys"]
@@ -367,9 +369,9 @@ def _late_links(open_: DataFrame, texts: DataFrame, nodes: DataFrame, scratch: S
     def block(table: pa.Table) -> pa.Table:
         asks = table["asks"].to_numpy()
         node, label = table["node"].to_numpy(), table["label"].to_numpy()
-        ids = [np.frombuffer(b, np.uint64) for b in table["ids"].to_pylist()]
+        ids = [np.frombuffer(b, np.uint32) for b in table["ids"].to_pylist()]
         n = np.array([len(v) for v in ids])
-        bins = np.stack([np.bincount((v % np.uint64(BINS)).astype(np.int64), minlength=BINS).astype(np.int32) for v in ids])
+        bins = np.stack([np.bincount((v % np.uint32(BINS)).astype(np.int64), minlength=BINS).astype(np.int32) for v in ids])
         coarse = bins.reshape(len(n), COARSE, -1).sum(axis=2)
         keys = [frozenset(x) for x in table["keys"].to_pylist()]
         h, minor = table["h"][0].as_py(), label != table["main"].to_numpy()
@@ -458,7 +460,8 @@ def links(docs: DataFrame, scratch: Scratch, key: str = "doc_id", text: str = "t
             pairs = heads.select("a", "b", "label", "main").join(tried, ["a", "b"], "left_anti")
             pairs = pairs.groupBy("label", "main").agg(F.min(F.struct("a", "b")).alias("x")).select("x.a", "x.b").distinct()
         else:  # by all nodes, so that no link between components is lost
-            labels = _merged(labels, _late_links(placed.join(main.select("h", "main"), "h"), texts, nodes, scratch), scratch)
+            late = _late_links(placed.join(main.select("h", "main"), "h"), texts, scratch)
+            labels = _merged(labels, _aligned(late, texts), scratch)
             break
         pairs = scratch.keep(pairs)
         if not pairs.limit(1).count():
