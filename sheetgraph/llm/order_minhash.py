@@ -29,6 +29,7 @@ those named like inner ones, take no part.
 
 from __future__ import annotations
 
+import math
 import re
 from collections import Counter
 
@@ -54,6 +55,8 @@ STAR_ROUNDS = 2
 BINS, COARSE, BLOCK = 256, 32, 256
 #: Words up to which many texts are aligned in step; longer ones go one by one along furthest points.
 LONG_WORDS = 2_000
+#: Texts from which one of a block is compared with them at once, and words whose bits are kept. Either way gives the same distances.
+LANES_FROM, LANE_WORDS = 4, 1_000
 #: Hashes computed at once.
 MATRIX = 500_000
 
@@ -313,6 +316,55 @@ def band_distances(xs: list[np.ndarray], ys: list[np.ndarray], band: int) -> np.
     return out
 
 
+class Lanes:
+    """Edit distances of one text to many: a bit for each word of the many, all columns of their tables in one number.
+
+    Each text has a lane of its words and a bit that takes the carry; a step by bits moves all tables on by one
+    word, and what vertical steps remain in a lane give its distance.
+    """
+
+    def __init__(self, texts: list[np.ndarray]):
+        sizes = np.array([len(v) for v in texts], np.int64)
+        self.starts = np.cumsum(sizes + 1) - sizes - 1
+        self.total = int((sizes + 1).sum())
+        words = np.concatenate(texts) if texts else np.zeros(0, np.uint32)
+        places = np.arange(len(words)) + np.repeat(np.arange(len(texts)), sizes)
+        order = np.argsort(words, kind="stable")
+        self.places = places[order]
+        self.names, first = np.unique(words[order], return_index=True)
+        self.ends = np.append(first, len(words))
+        self.known: dict[int, int] = {}
+        self.low, self.inside = self._number(self.starts[sizes > 0]), self._number(places)
+
+    def _number(self, places: np.ndarray) -> int:
+        bits = np.zeros(self.total, np.uint8)
+        bits[places] = 1
+        return int.from_bytes(np.packbits(bits, bitorder="little").tobytes(), "little")
+
+    def _of(self, word: int) -> int:
+        found = self.known.get(word)
+        if found is None:
+            at = int(np.searchsorted(self.names, word))
+            there = at < len(self.names) and self.names[at] == word
+            if len(self.known) >= LANE_WORDS:
+                self.known.clear()
+            found = self.known[word] = self._number(self.places[self.ends[at] : self.ends[at + 1]]) if there else 0
+        return found
+
+    def distances(self, text: np.ndarray) -> np.ndarray:
+        inside, low = self.inside, self.low
+        more, less = inside, 0
+        for word in text.tolist():
+            same = self._of(word)
+            diagonal = ((((same & more) + more) ^ more) | same | less) & inside
+            right = ((less | inside ^ (diagonal | more)) << 1) & inside | low
+            more, less = ((diagonal & more) << 1) & inside | inside ^ (diagonal | right), right & diagonal
+        size = self.total + 7 >> 3
+        steps = (np.unpackbits(np.frombuffer(x.to_bytes(size, "little"), np.uint8), bitorder="little")[: self.total].astype(np.int64) for x in (more, less))
+        up, down = steps
+        return len(text) + np.add.reduceat(up - down, self.starts) if self.total else np.zeros(0, np.int64)
+
+
 def linked(xs: list[np.ndarray], ys: list[np.ndarray]) -> np.ndarray:
     """Whether each pair has enough edit similarity."""
     out = np.zeros(len(xs), bool)
@@ -332,72 +384,125 @@ def linked(xs: list[np.ndarray], ys: list[np.ndarray]) -> np.ndarray:
     return out
 
 
-def _late_links(open_: DataFrame, texts: DataFrame, scratch: Scratch) -> DataFrame:
-    """Links (a, b) between the components that share a bucket: one for each two, if there is any.
+def _near(k: int, may: np.ndarray, n: np.ndarray, bins: np.ndarray, coarse: np.ndarray) -> np.ndarray:
+    """Those of may whose texts bounds on the distance do not rule out: lengths, then histograms of words."""
+    most = ((1 - SIMILARITY) * np.maximum(n[may], n[k]) + 1e-9).astype(np.int64)
+    near = np.abs(n[may] - n[k]) <= most
+    for table in (coarse, bins):
+        may, most = may[near], most[near]
+        near = np.abs(table[may] - table[k]).sum(axis=1, dtype=np.int64) <= 2 * most
+    return may[near]
 
-    open_: h, node, label, main. Nodes outside a bucket's main component meet all others, in blocks. The
-    difference in length, and half that of two word histograms, is at most the edit distance, so those that
-    exceed it are passed over, and the rest is aligned in the block: rows come out for links alone, not for
-    pairs. Two nodes that share several buckets meet in that of their smallest common key. A word goes in 32
-    bits, which can only make texts seem nearer, so the caller aligns the links found by their words.
-    """
+
+def _signed(texts: DataFrame) -> DataFrame:
+    """node, n, bins, ids: of each text its words' number, a histogram of up to 255 in a bin, and the words in 32 bits each."""
 
     def make():
         hashes = _WordHashes()
 
         def step(batch: pa.RecordBatch) -> pa.RecordBatch:
-            ids = []
+            counts, bins, ids = [], [], []
             for t in batch.column(1).to_pylist():
                 words = words_of(t)
-                ids.append(np.fromiter(map(hashes.__getitem__, words), np.uint64, len(words)).astype(np.uint32).tobytes())
+                v = np.fromiter(map(hashes.__getitem__, words), np.uint64, len(words)).astype(np.uint32)
+                counts.append(len(v))
+                bins.append(np.minimum(np.bincount((v % np.uint32(BINS)).astype(np.int64), minlength=BINS), 255).astype(np.uint8).tobytes())
+                ids.append(v.tobytes())
                 if len(hashes) > WORD_CACHE:
                     hashes.clear()
-            return pa.RecordBatch.from_arrays([batch.column(0), pa.array(ids, pa.binary())], names=["node", "ids"])
+            cols = [batch.column(0), pa.array(counts, pa.int64()), pa.array(bins, pa.binary()), pa.array(ids, pa.large_binary()).cast(pa.binary())]
+            return pa.RecordBatch.from_arrays(cols, names=["node", "n", "bins", "ids"])
 
         return step
 
+    return map_arrow(texts.select("__node", "__text"), make, "node long, n long, bins binary, ids binary")
+
+
+def _late_links(open_: DataFrame, texts: DataFrame, scratch: Scratch) -> DataFrame:
+    """Links (a, b) between the components that share a bucket: one for each two, if there is any.
+
+    open_: h, node, label, main. Nodes outside a bucket's main component meet all others, in blocks. A bucket
+    is split by the lengths of texts first: those that link are of one level of lengths or of two neighbours, so
+    a node goes to its own level and to the one below. The difference in length, and half that of two word
+    histograms, is at most the edit distance; a first pass carries these alone and leaves the rows that
+    have a partner in their block, a second one aligns them: rows come out for nodes and links, not for pairs.
+    Two nodes that share several buckets meet in that of their smallest common key. A word goes in 32
+    bits, which can only make texts seem nearer, so the caller aligns the links found by their words.
+    """
     open_ = scratch.keep(open_)
     some = texts.join(open_.select(F.col("node").alias("__node")).distinct(), "__node", "left_semi")
     shared = open_.groupBy("node").agg(F.collect_set("h").alias("keys"))  # of the buckets that are open, not all
-    signed = scratch.keep(open_.join(map_arrow(some.select("__node", "__text"), make, "node long, ids binary"), "node").join(shared, "node"))
-    sizes = signed.groupBy("h").agg(F.ceil(F.count(F.lit(1)) / BLOCK).alias("blocks"), F.ceil(F.count_if(F.col("label") != F.col("main")) / BLOCK).alias("minor_blocks"))
-    rows = signed.join(sizes, "h").withColumn("own", F.pmod(F.xxhash64("node"), "blocks")).withColumn("minor", F.pmod(F.xxhash64("node"), "minor_blocks"))
-    columns = ["h", "node", "label", "main", "ids", "keys"]
-    x = rows.where("label != main").select(*columns, F.lit(True).alias("asks"), F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)).alias("i"), F.col("minor").alias("j"))
-    y = rows.select(*columns, F.lit(False).alias("asks"), F.col("own").alias("i"), F.explode(F.sequence(F.lit(0).cast("long"), F.col("minor_blocks") - 1)).alias("j"))
-
-    def block(table: pa.Table) -> pa.Table:
-        asks = table["asks"].to_numpy()
+    signed = scratch.keep(_signed(some).join(shared, "node"))
+    # a little more than the ratio of lengths that links allow, so that rounding does not part them
+    level = F.floor(F.log("n") / math.log(1.01 / SIMILARITY))
+    placed = open_.join(signed.select("node", level.alias("level")), "node")
+    placed = placed.select("h", "node", "label", "main", "level", F.explode(F.array(F.col("level"), F.col("level") - 1)).alias("c"))
+    placed = placed.withColumn("low", F.col("level") == F.col("c")).drop("level")
+    minor = F.count_if(F.col("label") != F.col("main"))
+    sizes = placed.groupBy("h", "c").agg(F.ceil(F.count(F.lit(1)) / BLOCK).alias("blocks"), F.ceil(minor / BLOCK).alias("minor_blocks"), F.bool_or("low").alias("any"), F.min("label").alias("la"), F.max("label").alias("lb"))
+    sizes = sizes.where("any and la < lb").drop("any", "la", "lb")
+    placed = scratch.keep(placed.join(sizes, ["h", "c"]))
+    rows = placed.join(signed.select("node", "n", "bins"), "node")
+    columns = ["h", "c", "node", "label", "main", "low", "n", "bins"]
+    own, own_minor = (F.pmod(F.xxhash64("node"), name) for name in ("blocks", "minor_blocks"))
+    x = rows.where("label != main").select(*columns, F.lit(True).alias("asks"), F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)).alias("i"), own_minor.alias("j"))
+    y = rows.select(*columns, F.lit(False).alias("asks"), own.alias("i"), F.explode(F.sequence(F.lit(0).cast("long"), F.col("minor_blocks") - 1)).alias("j"))
+
+    def pairs(table: pa.Table, n: np.ndarray, bins: np.ndarray):
+        """Each row that asks, and the others that may link with it."""
+        asks, low = table["asks"].to_numpy(), table["low"].to_numpy()
+        node, label = table["node"].to_numpy(), table["label"].to_numpy()
+        minor = label != table["main"].to_numpy()
+        coarse = bins.reshape(len(n), COARSE, -1).sum(axis=2, dtype=np.int32)
+        others = np.flatnonzero(~asks)
+        for k in np.flatnonzero(asks):
+            may = others[(label[others] != label[k]) & (low[others] | low[k]) & ~(minor[others] & (node[others] > node[k]))]
+            yield k, _near(k, may, n, bins, coarse)
+
+    def partnered(table: pa.Table) -> pa.Table:
+        bins = np.frombuffer(b"".join(table["bins"].to_pylist()), np.uint8).reshape(-1, BINS).astype(np.int16)
+        stays = np.zeros(len(bins), bool)
+        for k, may in pairs(table, table["n"].to_numpy(), bins):
+            if len(may):
+                stays[k] = stays[may] = True
+        return table.drop_columns(["n", "bins"]).filter(pa.array(stays))
+
+    def aligned(table: pa.Table) -> pa.Table:
         node, label = table["node"].to_numpy(), table["label"].to_numpy()
         ids = [np.frombuffer(b, np.uint32) for b in table["ids"].to_pylist()]
-        n = np.array([len(v) for v in ids])
         bins = np.stack([np.bincount((v % np.uint32(BINS)).astype(np.int64), minlength=BINS).astype(np.int32) for v in ids])
-        coarse = bins.reshape(len(n), COARSE, -1).sum(axis=2)
         keys = [frozenset(x) for x in table["keys"].to_pylist()]
-        h, minor = table["h"][0].as_py(), label != table["main"].to_numpy()
-        others = np.flatnonzero(~asks)
-        left, right = [], []
-        for k in np.flatnonzero(asks):
-            may = others[(label[others] != label[k]) & ~(minor[others] & (node[others] > node[k]))]
-            most = ((1 - SIMILARITY) * np.maximum(n[may], n[k]) + 1e-9).astype(np.int64)
-            near = np.abs(n[may] - n[k]) <= most
-            for table_ in (coarse, bins):
-                may, most = may[near], most[near]
-                near = np.abs(table_[may] - table_[k]).sum(axis=1) <= 2 * most
-            may = np.array([x for x in may[near].tolist() if min(keys[x] & keys[k]) == h], np.int64)
-            left.append(np.full(len(may), k))
-            right.append(may)
-        left, right = np.concatenate(left) if left else others[:0], np.concatenate(right) if right else others[:0]
-        hits = linked([ids[k] for k in left], [ids[k] for k in right])
-        found = {(left[k], label[right[k]]): (int(node[left[k]]), int(node[right[k]])) for k in np.flatnonzero(hits)}
+        h, left, right, hits = table["h"][0].as_py(), [], [], []
+        n = np.array([len(v) for v in ids])
+        inside = [k for k in np.flatnonzero(~table["asks"].to_numpy()).tolist() if n[k] <= LONG_WORDS]
+        all_lanes = None
+        for k, may in pairs(table, n, bins):
+            here = [x for x in may.tolist() if min(keys[x] & keys[k]) == h]
+            beside = [x for x in here if n[x] <= LONG_WORDS] if n[k] <= LONG_WORDS else []
+            if len(beside) >= LANES_FROM:
+                if 2 * len(beside) > len(inside):
+                    all_lanes = all_lanes or Lanes([ids[x] for x in inside])
+                    far = dict(zip(inside, all_lanes.distances(ids[k]).tolist()))
+                else:
+                    far = dict(zip(beside, Lanes([ids[x] for x in beside]).distances(ids[k]).tolist()))
+                hits += [(k, x) for x in beside if far[x] <= int((1 - SIMILARITY) * max(n[x], n[k]) + 1e-9)]
+                here = [x for x in here if x not in far]
+            left += [k] * len(here)
+            right += here
+        near = linked([ids[k] for k in left], [ids[k] for k in right])
+        hits += [(left[k], right[k]) for k in np.flatnonzero(near)]
+        found = {(k, label[x]): (int(node[k]), int(node[x])) for k, x in hits}
         out = list(found.values())
         a, b = zip(*out) if out else ((), ())
         return pa.table({"a": pa.array(a, pa.int64()), "b": pa.array(b, pa.int64())})
 
     # a stated number of partitions: the blocks are small in bytes but not in work
     parts = int(open_.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    blocks = x.unionByName(y).repartition(parts, "h", "i", "j")
-    return scratch.keep(blocks.groupBy("h", "i", "j").applyInArrow(block, "a long, b long").distinct())
+    at = ["h", "c", "i", "j"]
+    left_over = "h long, c long, node long, label long, main long, low boolean, asks boolean, i long, j long"
+    met = scratch.keep(x.unionByName(y).repartition(parts, *at).groupBy(*at).applyInArrow(partnered, left_over))
+    blocks = met.join(signed.select("node", "ids", "keys"), "node").repartition(parts, *at)
+    return scratch.keep(blocks.groupBy(*at).applyInArrow(aligned, "a long, b long").distinct())
 
 
 def components(edges: DataFrame, scratch: Scratch) -> DataFrame:

@@ -70,3 +70,33 @@ def test_nodes_that_share_their_bits_stay_apart(spark):
     docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
     wide, narrow = ({r.doc_id: (r.class_id, r.class_size) for r in order_minhash.classes(docs, Scratch(spark, "t"), bits=b).collect()} for b in (64, 3))
     assert wide == narrow and len({c for c, _ in wide.values()}) == 40
+
+
+def test_distances_of_one_text_to_many_at_once():
+    random.seed(4)
+    for _ in range(60):
+        many = [np.array(random.choices(range(6), k=random.randint(1, 40)), np.uint32) for _ in range(random.randint(1, 9))]
+        one = np.array(random.choices(range(6), k=random.randint(1, 40)), np.uint32)
+        assert order_minhash.Lanes(many).distances(one).tolist() == [order_minhash.banded_distance(one.tolist(), x.tolist(), 50) for x in many]
+
+
+def test_late_links_against_all_pairs(spark):
+    """Open buckets of texts of many lengths and of two components a bucket: what links comes out for each two components."""
+    random.seed(6)
+    words = [f"w{k}" for k in range(300)]
+    texts = []
+    for n in (6, 12, 30, 31, 38, 90, 110, 2_100):
+        base = random.choices(words, k=n)
+        for _ in range(9):
+            other = list(base)
+            for at in random.sample(range(n), min(n, int(random.choice((0.1, 0.2, 0.3, 0.5)) * n) + 1)):
+                other[at] = random.choice(words)
+            texts.append(other)
+    rows = [(h, node, 0 if node % 5 == 0 else node, 0) for h in (7, 9) for node in range(len(texts)) if h == 7 or node % 3]
+    scratch = Scratch(spark, "t")
+    kept = scratch.keep(spark.createDataFrame([(k, " ".join(t)) for k, t in enumerate(texts)], "__node long, __text string"))
+    found = order_minhash._late_links(spark.createDataFrame(rows, "h long, node long, label long, main long"), kept, scratch).collect()
+    label = {node: at for _, node, at, _ in rows}
+    want = {frozenset((label[a], label[b])) for a in label for b in label if label[a] != label[b] and order_minhash.similarity(texts[a], texts[b]) is not None}
+    assert want and {frozenset((label[r.a], label[r.b])) for r in found} == want
+    assert all(order_minhash.similarity(texts[r.a], texts[r.b]) is not None for r in found)
