@@ -3,6 +3,7 @@
 from functools import partial
 
 from sheetgraph.plans import in_row, mess, workloads
+from sheetgraph.queries import QUERIES
 
 
 def _rows(df):
@@ -27,3 +28,8 @@ def test_repeated_row_names_go_the_general_way(spark, tmp_path):
     assert not in_row.possible(spark, str(tmp_path), ("region",))
     (got,) = workloads.grade_expected(spark, str(tmp_path), ("region",)).collect()
     assert (got.tp, got.fp, got.fn) == (2, 0, 0)  # two equal rows are one graph
+
+
+def test_recursion_reads_line_items(spark, sf):
+    got = {r.n: r["items"] for r in QUERIES["cte_recursive"](spark, sf).collect()}
+    assert sorted(got) == list(range(1, 21)) and sum(got.values()) == spark.read.parquet(f"{sf}/lineitem.parquet").count()
