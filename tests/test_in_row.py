@@ -2,7 +2,9 @@
 
 from functools import partial
 
-from sheetgraph.plans import in_row, mess, workloads
+from sheetgraph.operators import baseline, match
+from sheetgraph.operators import cells as C
+from sheetgraph.plans import in_row, mess, truth, workloads
 from sheetgraph.queries import QUERIES
 
 
@@ -33,3 +35,25 @@ def test_repeated_row_names_go_the_general_way(spark, tmp_path):
 def test_recursion_reads_line_items(spark, sf):
     got = {r.n: r["items"] for r in QUERIES["cte_recursive"](spark, sf).collect()}
     assert sorted(got) == list(range(1, 21)) and sum(got.values()) == spark.read.parquet(f"{sf}/lineitem.parquet").count()
+
+
+def test_numbers_are_counted_by_sums_and_read_texts_once(spark, sf):
+    (sheet,) = in_row.plain_sheets(spark, sf, ("customer",))
+    got = {(r.col, r.mask): r.cnt for r in in_row._numbers(sheet).collect()}
+    assert got[("c_custkey", 128)] == got[("c_acctbal", 128)] + got[("c_acctbal", 256)] == sheet.df.count()
+    names = [c.col for c in sheet.seen]
+    parts = in_row._by_text(sheet, {("customer", c): {None: [("T11", False)]} for c in names})
+    assert [(len(x.seen), "w" in x.df.columns) for x in parts] == [(1, True), (1, True), (3, False)]
+    assert parts[1].df.count() == 5  # c_mktsegment's different texts
+
+
+def test_odd_numbers_and_texts_as_in_the_general_way(spark, tmp_path):
+    odd = [float("nan"), None, float("inf"), 1e-13, 1e26, 1e15, 3.0, -0.5]
+    rows = [(k if k else None, name, k, x) for k, (name, x) in enumerate(zip(["<b>x</b>", "", None, "http://a", "12", "s_name", "<i></i>", "a\n"], odd))]
+    spark.createDataFrame(rows, "s_suppkey long, s_name string, s_nationkey int, s_acctbal double").write.parquet(str(tmp_path / "supplier.parquet"))
+    d, of = str(tmp_path), ("supplier",)
+    cells = C.portal_cells(spark, d, of)
+    goal = truth.expected(spark, cells, of)
+    for how in ("display", "raw"):
+        assert workloads.grade_baseline(spark, d, how, of).collect() == match.grade(baseline.extract(cells, how), goal).collect()
+    assert workloads.grade_portal(spark, d, "literal", of).collect() == match.grade(workloads.predict(cells, split=False), goal).collect()
