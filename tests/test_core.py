@@ -48,9 +48,11 @@ GOLDEN = {
 }
 
 
-def test_duplication_examples(spark):
-    got = {r.x: r.dup for r in queries.dup_examples(spark, "").collect()}
+def test_duplication_examples(spark, sf):
+    got = {r.x: r.dup for r in queries.dup_of_letters(spark.createDataFrame([(x,) for x in DUP], "x string")).collect()}
     assert {k: round(v, 2) for k, v in got.items()} == DUP
+    names = {r.c_name for r in spark.read.parquet(f"{sf}/customer.parquet").collect()}
+    assert {r.x for r in queries.QUERIES["dup_examples"](spark, sf).collect()} == names
 
 
 def test_golden_columns(spark):
