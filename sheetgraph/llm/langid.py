@@ -30,7 +30,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from sheetgraph.llm._shared import Scratch, map_arrow, prepare, runs_of, texts_of, without
+from sheetgraph.llm._shared import Scratch, held, map_arrow, prepare, runs_of, texts_of, without
 
 MARK = "▁"
 MAX_WORD = 32
@@ -156,7 +156,7 @@ def expected_uses(pieces: Pieces, table: np.ndarray, words: list[str], langs: np
     return out
 
 
-_pieces: dict[str, Pieces] = {}
+_pieces: dict[str, Pieces] = held("langid")
 
 
 def pieces_of(path: str) -> Pieces:

@@ -37,3 +37,22 @@ def test_the_query_gives_the_librarys_ids(spark, sf):
     for r in queries.op5_piece_lattice(spark, sf).collect():
         ids = sp.encode(texts[r.doc_id] or "")
         assert (r.n_tokens, r.ids_crc32, r.round_trip) == (len(ids), zlib.crc32(np.array(ids, "<u4").tobytes()), True)
+
+
+def test_texts_stay_in_the_workers_and_a_spoiled_dictionary_is_noticed(spark, monkeypatch):
+    docs = spark.createDataFrame([(1, "one two"), (2, "two")], "doc_id long, text string")
+    out = lattice.encode(docs, PIECES, Scratch(spark, "t"), finish=lattice.DIGEST, merged=True, keep_text=False)
+    assert out.columns == ["doc_id", "n_tokens", "ids_crc32", "round_trip"] and all(r.round_trip for r in out.collect())
+    real = lattice.merged_paths
+    monkeypatch.setattr(lattice, "merged_paths", lambda s, m: real(s, m).selectExpr("segment", "IF(segment LIKE '%one', array(300), ids) AS ids"))
+    out = lattice.encode(docs, PIECES, Scratch(spark, "t"), finish=lattice.DIGEST, merged=True, keep_text=False)
+    assert {r.doc_id: r.round_trip for r in out.collect()} == {1: False, 2: True}
+
+
+def test_what_another_operator_held_goes():
+    from sheetgraph.llm import _shared
+
+    mine, other = _shared.held("one"), _shared.held("two")
+    mine["x"] = other["x"] = 1
+    _shared.make_room("one")
+    assert mine and not other
