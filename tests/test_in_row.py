@@ -2,7 +2,7 @@
 
 from functools import partial
 
-from sheetgraph.operators import baseline, match
+from sheetgraph.operators import baseline, match, tree
 from sheetgraph.operators import cells as C
 from sheetgraph.plans import in_row, mess, truth, workloads
 from sheetgraph.queries import QUERIES
@@ -57,3 +57,29 @@ def test_odd_numbers_and_texts_as_in_the_general_way(spark, tmp_path):
     for how in ("display", "raw"):
         assert workloads.grade_baseline(spark, d, how, of).collect() == match.grade(baseline.extract(cells, how), goal).collect()
     assert workloads.grade_portal(spark, d, "literal", of).collect() == match.grade(workloads.predict(cells, split=False), goal).collect()
+
+
+def test_runs_share_the_columns_they_see_alike(spark, sf):
+    patterns = ("clean", "value_as_color", "outdated_struck")
+    events, labels = workloads._messy_sheets(spark, sf, patterns, ("K3",), ends=("|true", "|false"), flat=("|false",))
+    # each plain column once; the event's type once more for each pattern that styles it, with its styles and without
+    assert (len(events.seen), len(labels.seen)) == (6 + 4, 3)
+    assert {len(runs) for _, c, _, runs in events.cells() if c.col != "event_type"} == {6}
+    assert sorted(len(runs) for _, c, _, runs in events.cells() if c.col == "event_type") == [1, 1, 1, 1, 2]
+
+
+def test_shared_runs_without_styles_equal_the_general_way(spark, sf):
+    patterns, graphs = ("value_as_color", "clean"), ("K3",)
+    cells, goal = workloads.messy_runs(spark, sf, patterns, graphs)
+    general = workloads.grade_runs(workloads.predict(cells, split=False), goal)
+    sheets = workloads._messy_sheets(spark, sf, patterns, graphs, ends=("|true", "|false"), flat=("|false",))
+    got = workloads._predicted_runs(sheets, more=("split",))
+    assert _rows(got.where("split = 'false'")) == _rows(general)
+
+
+def test_trees_of_several_choices_are_those_of_each(spark, sf):
+    values = in_row.dictionary(in_row.plain_sheets(spark, sf, ("customer",)), set())
+    without = {"|a": ("T9", "T13", "T14"), "|b": ("T10", "T13", "T14")}
+    both = {tuple(r) for r in tree.build_from(values, choices=without).collect()}
+    each = {(r[0] + end, *r[1:]) for end, ts in without.items() for r in tree.build_from(values, templates=ts).collect()}
+    assert both == each and len(both) > 8
