@@ -56,3 +56,16 @@ def test_what_another_operator_held_goes():
     mine["x"] = other["x"] = 1
     _shared.make_room("one")
     assert mine and not other
+
+
+def test_a_word_of_letters_and_one_with_marks_beside_share_a_segment(spark):
+    pieces = lattice.Pieces(PIECES)
+    assert any("vxqkjz"[k : k + 2] not in pieces.pairs for k in range(5))
+    assert pieces.cut("▁vxqkjz,") == ["▁vxqkjz", ","]
+    docs = spark.createDataFrame([(1, "vxqkjz vxqkjz, (vxqkjz)")], "doc_id long, text string").coalesce(1)
+    seen = [r.segment for r in lattice.segments_seen(docs, PIECES, "text", lattice.MERGED_LONG).collect()]
+    assert len(seen) == len(set(seen)) and seen.count("▁vxqkjz") == 1
+    sp = sentencepiece.SentencePieceProcessor(model_file=PIECES)
+    out = lattice.encode(docs, PIECES, Scratch(spark, "t"), merged=True)
+    assert [list(r.ids) for r in out.collect()] == [sp.encode("vxqkjz vxqkjz, (vxqkjz)")]
+    assert out.folded_in_workers.value == 0
