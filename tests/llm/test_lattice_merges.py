@@ -69,3 +69,23 @@ def test_a_word_of_letters_and_one_with_marks_beside_share_a_segment(spark):
     out = lattice.encode(docs, PIECES, Scratch(spark, "t"), merged=True)
     assert [list(r.ids) for r in out.collect()] == [sp.encode("vxqkjz vxqkjz, (vxqkjz)")]
     assert out.folded_in_workers.value == 0
+
+
+def test_only_a_run_of_a_batchs_texts_is_made_objects_at_a_time(monkeypatch):
+    import pyarrow as pa
+
+    made = []
+    monkeypatch.setattr(lattice, "texts_of", lambda c: made.append(len(c)) or ["" if x is None else x for x in c.to_pylist()])
+    monkeypatch.setattr(lattice, "CHUNK", 10)
+    texts = ["abc", None, "", "defgh", "ijk", "l" * 30, "m", "n"]
+    dealt = lattice._Chunks(0).deal(pa.array(texts), 6)
+    assert next(dealt) == (0, ["abc", "", ""]) and made == [3]
+    rest = list(dealt)
+    assert [t for _, some in rest for t in some] == ["defgh", "ijk", "l" * 30, "m", "n"]
+    assert [c for c, some in rest for _ in some] == [0, 0, 1, 2, 2]
+
+
+def test_words_seen_are_kept_as_eight_bytes_each():
+    seen, words = lattice._Seen(), {f"word{k}" for k in range(1000)}
+    assert set(seen.fresh(words)) == words and seen.fresh(words) == [] and seen.fresh(set()) == []
+    assert sorted(seen.fresh({"word1", "other"})) == ["other"] and seen.hashes.nbytes == 8 * 1001
