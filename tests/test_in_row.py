@@ -83,3 +83,15 @@ def test_trees_of_several_choices_are_those_of_each(spark, sf):
     both = {tuple(r) for r in tree.build_from(values, choices=without).collect()}
     each = {(r[0] + end, *r[1:]) for end, ts in without.items() for r in tree.build_from(values, templates=ts).collect()}
     assert both == each and len(both) > 8
+
+
+def test_numbers_that_become_texts_are_made_once_a_number(spark, sf):
+    patterns, graphs = ("numbers_as_text", "clean"), ("K3",)
+    sheets = workloads._messy_sheets(spark, sf, patterns, graphs)
+    (value,) = [x for x in sheets if "w" in x.df.columns]
+    assert [c.col for c in value.seen] == ["value"] and value.names == ("K3|numbers_as_text|events",)
+    events = spark.read.parquet(f"{sf}/events.parquet")
+    assert (value.df.count(), value.df.agg({"w": "sum"}).first()[0]) == (events.select("value").distinct().count(), events.count())
+    cells, goal = workloads.messy_runs(spark, sf, patterns, graphs)
+    general = workloads.grade_runs(workloads.predict(cells, "literal"), goal)
+    assert _rows(workloads._predicted_runs(sheets)) == _rows(general)
